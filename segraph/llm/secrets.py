@@ -1,0 +1,135 @@
+"""Secret scan: fixed patterns and dictionary-primed zstandard novelty.
+
+Base spans come from three patterns.  The novelty method looks at long tokens
+that stand close behind a sensitive word: the token is compressed by a
+zstandard compressor primed with a dictionary of common identifiers and the
+code around it, and its marginal bytes (with the token, less without) per
+character tell how much of it neither the surroundings nor the identifiers
+explain.  Tokens above ``novelty`` become spans of kind ``novel``.
+
+Null text is empty and has no spans.  Ties do not arise: a base span wins over
+a novel one that it overlaps.  Extra columns pass through ``find`` untouched.
+"""
+
+from __future__ import annotations
+
+import hashlib
+import re
+
+import pyarrow as pa
+import zstandard
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from .shared import prepare
+
+KINDS = ("assign", "access", "hex", "novel")
+ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
+ASSIGN_START = re.compile(r"password|passwd|secret|token|api_?key", re.IGNORECASE | re.ASCII)
+ACCESS = re.compile(r"AKIA[A-Z0-9]+")
+HEX = re.compile(r"[0-9a-f]{24,}")
+# Words that make the text behind them sensitive, and identifiers common in code.
+SENSITIVE = ("password", "passwd", "passphrase", "pwd", "secret", "token", "apikey", "api_key", "api-key", "access_key", "private_key", "client_secret", "credential", "authorization", "bearer", "auth", "signature", "session_id", "connection_string", "ssh-rsa")
+IDENTIFIERS = (
+    "import from return class def function const let var public private static void int string bool true false null None self this "
+    "config settings environment variable value default example placeholder username password secret token api_key access_key client_id client_secret "
+    "https:// http:// localhost example.com www index.html application/json Content-Type Authorization Bearer Basic getElementById addEventListener "
+    "0123456789 abcdefghijklmnopqrstuvwxyz ABCDEFGHIJKLMNOPQRSTUVWXYZ your_password_here changeme xxxxxxxxxxxxxxxx 00000000000000000000"
+)
+SENSITIVE_RE = re.compile(r"(?:" + "|".join(map(re.escape, sorted(SENSITIVE, key=len, reverse=True))) + r")[^A-Za-z0-9]", re.IGNORECASE | re.ASCII)
+CANDIDATE = re.compile(r"[A-Za-z0-9+/_.=-]{16,}")
+REACH, AROUND = 48, 256
+NOVELTY = 0.55
+
+
+def base_spans(text: str) -> list[tuple[int, int, str]]:
+    """(start, end, kind) of the three patterns, leftmost and non-overlapping per kind."""
+    out = []
+    if ("=" in text or ":" in text) and ASSIGN_START.search(text):
+        out += [(*m.span(), "assign") for m in ASSIGN.finditer(text) if len(m[2]) >= 6]
+    out += [(*m.span(), "access") for m in ACCESS.finditer(text) if m.end() - m.start() >= 20]
+    out += [(*m.span(), "hex") for m in HEX.finditer(text)]
+    return out
+
+
+def marginal_bytes(token: str, before: str, after: str, identifiers: str = IDENTIFIERS) -> int:
+    """Compressed bytes that the token adds to its surroundings."""
+    prime = zstandard.ZstdCompressionDict((identifiers + " " + before + " " + after).encode(), dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+    zip_ = zstandard.ZstdCompressor(level=3, dict_data=prime, write_content_size=False, write_checksum=False, write_dict_id=False)
+    near = before[-32:].encode()
+    return len(zip_.compress(near + token.encode())) - len(zip_.compress(near))
+
+
+def novel_spans(text: str, novelty: float = NOVELTY) -> list[tuple[int, int, str]]:
+    """Incompressible tokens within REACH characters behind a sensitive word."""
+    out, done = [], 0
+    for m in SENSITIVE_RE.finditer(text):
+        c = CANDIDATE.search(text, max(done, m.end() - 1), m.end() + REACH + 16)
+        if not c:
+            continue
+        s = c.start()
+        e = CANDIDATE.match(text, s).end()
+        done = e
+        tok = text[s:e]
+        if any(x.isdigit() for x in tok) and any(x.isalpha() for x in tok) and marginal_bytes(tok, text[max(0, s - AROUND) : s], text[e : e + AROUND]) >= novelty * len(tok):
+            out.append((s, e, "novel"))
+    return out
+
+
+def all_spans(text: str, novelty: float = NOVELTY) -> tuple[list, list]:
+    """Base spans, and base and novel spans together, by start and then kind."""
+    order = {k: i for i, k in enumerate(KINDS)}
+    base = base_spans(text)
+    more = [x for x in novel_spans(text, novelty) if not any(x[0] < b[1] and b[0] < x[1] for b in base)]
+    key = lambda x: (x[0], order[x[2]], x[1])
+    return sorted(base, key=key), sorted(base + more, key=key)
+
+
+def joined(spans) -> str:
+    return ",".join(f"{k}:{s}:{e}" for s, e, k in spans)
+
+
+def find(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
+    """docs and columns base_spans, spans: arrays of struct(start, end, kind)."""
+    prepare(docs.sparkSession)
+    kind = T.ArrayType(T.StructType([T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType()), T.StructField("kind", T.StringType())]))
+    own = ["base_spans", "spans"]
+    keep = [f for f in docs.schema.fields if f.name not in own]
+    arrow = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("kind", pa.string())]))
+
+    def work(it):
+        for batch in it:
+            texts = batch.column(batch.schema.get_field_index("text"))
+            got = [all_spans(t or "", novelty) for a in range(0, len(texts), 256) for t in texts.slice(a, 256).to_pylist()]
+            cols = [pa.array([[{"start": s, "end": e, "kind": k} for s, e, k in g[i]] for g in got], arrow) for i in (0, 1)]
+            yield pa.RecordBatch.from_arrays([*batch.columns, *cols], names=[*batch.schema.names, *own])
+
+    return docs.select(*[f.name for f in keep]).mapInArrow(work, T.StructType([*keep, *[T.StructField(n, kind) for n in own]]))
+
+
+def redact(text: str | None, spans, mask: str = "[SECRET]") -> str | None:
+    """The text with each span, overlapping ones as one, replaced by mask."""
+    if not text or not spans:
+        return text
+    out, at = [], 0
+    end = -1
+    for s, e in sorted((x["start"], x["end"]) for x in spans):
+        if s >= end:
+            out += [text[at:s], mask]
+            at = end = e
+        elif e > end:
+            at = end = e
+    return "".join([*out, text[at:]])
+
+
+def digest(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
+    """One row per document: counts by kind, hash of the base spans, all spans."""
+    f = find(docs.select("doc_id", F.col("text").cast("string").alias("text")), novelty)
+    line = lambda c: F.array_join(F.transform(c, lambda x: F.concat_ws(":", x["kind"], x["start"].cast("string"), x["end"].cast("string"))), ",")
+    count = lambda k: F.size(F.filter("base_spans", lambda x: x["kind"] == k)).cast("long")
+    return f.select("doc_id", *[count(k).alias(f"n_{k}") for k in KINDS[:3]], F.sha2(line("base_spans"), 256).alias("base_sha256"), line("spans").alias("spans"))
+
+
+def sha256_of_spans(spans) -> str:
+    return hashlib.sha256(joined(spans).encode()).hexdigest()
