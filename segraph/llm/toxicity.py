@@ -28,10 +28,12 @@ from .fit import labelled_sample, logistic, sigmoid
 from .shared import arrow_schema, held, materialise, prepare
 
 ORDER = 6
-DISCOUNT = 0.75
+DISCOUNTS = (0.0, 1.0, 1.25, 1.5)  # of counts 0, 1, 2, and 3 or more: a single sighting tells no class
 MOST_TOXIC, MOST_ORDINARY = 2500, 5000
 PASSAGE = 3
+TELLING = 3.0
 MEMO = 300_000
+FEATURES = ("toxic_ll", "ordinary_ll", "peak_word", "peak_passage", "telling", "log_words")
 _PAD = b"\x01" * (ORDER - 1)
 
 
@@ -56,19 +58,20 @@ class TwoClassKneserNey:
         self.words: dict[bytes, tuple[float, float]] = {}
 
     @staticmethod
-    def _contexts(counts: dict[bytes, int]) -> dict[bytes, tuple[int, int]]:
-        total, kinds = defaultdict(int), defaultdict(int)
+    def _contexts(counts: dict[bytes, int]) -> dict[bytes, tuple[int, float]]:
+        total, freed = defaultdict(int), defaultdict(float)
         for g, n in counts.items():
             total[g[:-1]] += n
-            kinds[g[:-1]] += 1
-        return {h: (total[h], kinds[h]) for h in total}
+            freed[g[:-1]] += DISCOUNTS[min(n, 3)]
+        return {h: (total[h], freed[h]) for h in total}
 
     @staticmethod
     def _blend(counts, contexts, g: bytes, back: float) -> float:
         total = contexts.get(g[:-1])
         if total is None:
             return back
-        return (max(counts.get(g, 0) - DISCOUNT, 0.0) + DISCOUNT * total[1] * back) / total[0]
+        n = counts.get(g, 0)
+        return (n - DISCOUNTS[min(n, 3)] + total[1] * back) / total[0]
 
     def gram(self, g: bytes) -> tuple[float, float]:
         got = self.memo.get(g)
@@ -92,24 +95,26 @@ class TwoClassKneserNey:
                 self.words[w] = got
         return got
 
-    def features(self, text: bytes) -> tuple[float, float, float, float]:
+    def features(self, text: bytes) -> tuple[float, ...]:
         """Toxic and ordinary log-likelihood per byte, their strongest
-        difference for a word, and for PASSAGE words, per word."""
+        difference for a word, and for PASSAGE words, per word; the sum of the
+        differences above TELLING, each word once; the logarithm of the length."""
         words = fold_words(text)
         if not words:
-            return 0.0, 0.0, 0.0, 0.0
+            return (0.0,) * len(FEATURES)
         known = self.words
         ll = np.array([known.get(w) or self.word(w) for w in words])
         d = ll[:, 1] - ll[:, 0]
         k = min(PASSAGE, len(d))
         c = np.concatenate([[0.0], np.cumsum(d)])
         n = sum(map(len, words)) + len(words)
-        return float(ll[:, 1].sum()) / n, float(ll[:, 0].sum()) / n, float(d.max()), float((c[k:] - c[:-k]).max()) / PASSAGE
+        telling = {w: x for w, x in zip(words, d.tolist()) if x > TELLING}
+        return float(ll[:, 1].sum()) / n, float(ll[:, 0].sum()) / n, float(d.max()), float((c[k:] - c[:-k]).max()) / PASSAGE, sum(telling.values()), float(np.log1p(len(d)))
 
 
 def _columns(f) -> np.ndarray:
-    f = np.asarray(f, float).reshape(-1, 4)
-    return np.column_stack([f[:, 0] - f[:, 1], f[:, 2], f[:, 3]])
+    f = np.asarray(f, float).reshape(-1, len(FEATURES))
+    return np.column_stack([f[:, 0] - f[:, 1], f[:, 2:]])
 
 
 class ToxicityModel:
@@ -123,7 +128,8 @@ class ToxicityModel:
 
 
 def _count_grams(sample: DataFrame) -> dict[tuple[int, int], dict[bytes, int]]:
-    """n-gram counts by (class, fold): as large as the sample allows."""
+    """n-gram counts by (class, fold), a word counting once a document, so that
+    repetition within one proves nothing; as large as the sample allows."""
     ddl = "y int, fold int, gram binary, n bigint"
     schema = arrow_schema(ddl)
 
@@ -132,7 +138,7 @@ def _count_grams(sample: DataFrame) -> dict[tuple[int, int], dict[bytes, int]]:
         for batch in it:
             d = batch.to_pydict()
             for y, fold, t in zip(d["y"], d["fold"], d["text"]):
-                counts[y, fold].update(fold_words((t or "").encode()))
+                counts[y, fold].update(set(fold_words((t or "").encode())))
         out = defaultdict(Counter)
         for key, words in counts.items():
             for w, n in words.items():
@@ -156,7 +162,7 @@ def fit(docs: DataFrame, labels: DataFrame, train=None, most: tuple[int, int] =
     counts = _count_grams(sample)
     n = {r["y"]: r["n"] for r in sample.groupBy("y").agg(F.count("*").alias("n")).collect()}
     if not n.get(0) or not n.get(1):
-        return ToxicityModel(None, np.zeros(4), n.get(1, 0) / max(1, sum(n.values())))
+        return ToxicityModel(None, np.zeros(len(FEATURES)), n.get(1, 0) / max(1, sum(n.values())))
     half = TwoClassKneserNey((counts[0, 0], counts[1, 0])) if counts[0, 0] and counts[1, 0] else None
     both = [Counter(counts[y, 0]) for y in (0, 1)]
     for y in (0, 1):
@@ -165,11 +171,10 @@ def fit(docs: DataFrame, labels: DataFrame, train=None, most: tuple[int, int] =
     seen = features_of(sample.where("fold = 1") if half else sample, half or full, "y int").toArrow().to_pydict()
     x, y = _columns(list(zip(*(seen[k] for k in FEATURES)))), np.array(seen["y"], float)
     if len(set(y)) < 2:
-        return ToxicityModel(None, np.zeros(4), n[1] / sum(n.values()))
+        return ToxicityModel(None, np.zeros(len(FEATURES)), n[1] / sum(n.values()))
     return ToxicityModel(full, logistic(x, y, ridge=0.01), 0.0)
 
 
-FEATURES = ("toxic_ll", "ordinary_ll", "peak_word", "peak_passage")
 _local: dict[int, TwoClassKneserNey] = {}
 
 
@@ -194,7 +199,7 @@ class _Shipped:
 
 
 def features_of(docs: DataFrame, model: TwoClassKneserNey, keep: str) -> DataFrame:
-    """The kept columns (a DDL string) and the four features of every text."""
+    """The kept columns (a DDL string) and the features of every text."""
     box = _Shipped(docs.sparkSession, model)
     names = [x.split(" ")[0] for x in keep.split(", ")]
     ddl = f"{keep}, " + ", ".join(f"{f} double" for f in FEATURES)
@@ -205,7 +210,7 @@ def features_of(docs: DataFrame, model: TwoClassKneserNey, keep: str) -> DataFra
         for batch in it:
             texts = batch.column(batch.schema.get_field_index("text")).cast(pa.binary())
             f = [m.features(t or b"") for a in range(0, len(texts), 256) for t in texts.slice(a, 256).to_pylist()]
-            cols = list(zip(*f)) or [[]] * 4
+            cols = list(zip(*f)) or [[]] * len(FEATURES)
             yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(n)) for n in names] + [pa.array(c, pa.float64()) for c in cols], schema=schema)
 
     return docs.select(*names, "text").mapInArrow(work, ddl)
@@ -217,7 +222,7 @@ def score(docs: DataFrame, model: ToxicityModel) -> DataFrame:
     if model.model is None:
         return src.select("doc_id", *[F.lit(0.0).alias(f) for f in FEATURES], F.lit(float(model.prior)).alias("score"))
     w = [float(x) for x in model.weights]
-    z = w[0] * (F.col("toxic_ll") - F.col("ordinary_ll")) + w[1] * F.col("peak_word") + w[2] * F.col("peak_passage") + w[3]
+    z = w[0] * (F.col("toxic_ll") - F.col("ordinary_ll")) + sum((a * F.col(f) for a, f in zip(w[1:-1], FEATURES[2:])), F.lit(w[-1]))
     return features_of(src, model.model, "doc_id bigint").withColumn("score", 1 / (1 + F.exp(-z)))
 
 
