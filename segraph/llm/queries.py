@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontam, quality, secrets, toxicity, wavelet
+from . import decontam, neardup, quality, secret_scan, toxicity, wavelet
 from .shared import prepare, table
 
 WORD_TOKENIZER = "word_bpe_49k.json"
@@ -21,7 +21,7 @@ def op1_toxicity(spark, sf_dir):
 
 def op2_secret_scan(spark, sf_dir):
     prepare(spark)
-    return secrets.digest(table(spark, sf_dir, "documents"))
+    return secret_scan.digest(table(spark, sf_dir, "documents"))
 
 
 def op3_decontamination(spark, sf_dir):
@@ -29,6 +29,11 @@ def op3_decontamination(spark, sf_dir):
     return decontam.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op6_near_duplicates(spark, sf_dir):
+    prepare(spark)
+    return neardup.digest(table(spark, sf_dir, "documents"))
+
+
 def op7_quality(spark, sf_dir):
     prepare(spark)
     return quality.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
@@ -41,5 +46,5 @@ def op9_token_store(spark, sf_dir):
     return wavelet.read_documents(spark, path, ("ids_crc32", "bigint", wavelet.ids_crc32))
 
 
-QUERIES = {f.__name__: f for f in (op1_toxicity, op2_secret_scan, op3_decontamination, op7_quality, op9_token_store)}
+QUERIES = {f.__name__: f for f in (op1_toxicity, op2_secret_scan, op3_decontamination, op6_near_duplicates, op7_quality, op9_token_store)}
 ORACLE_SQL: dict[str, str] = {}
