@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontam, neardup, quality, secret_scan, toxicity, wavelet
+from . import decontam, fingerprint, neardup, quality, secret_scan, toxicity, wavelet
 from .shared import prepare, table
 
 WORD_TOKENIZER = "word_bpe_49k.json"
@@ -29,6 +29,11 @@ def op3_decontamination(spark, sf_dir):
     return decontam.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op5_fingerprints(spark, sf_dir):
+    prepare(spark)
+    return fingerprint.digest(table(spark, sf_dir, "documents"))
+
+
 def op6_near_duplicates(spark, sf_dir):
     prepare(spark)
     return neardup.digest(table(spark, sf_dir, "documents"))
@@ -46,5 +51,5 @@ def op9_token_store(spark, sf_dir):
     return wavelet.read_documents(spark, path, ("ids_crc32", "bigint", wavelet.ids_crc32))
 
 
-QUERIES = {f.__name__: f for f in (op1_toxicity, op2_secret_scan, op3_decontamination, op6_near_duplicates, op7_quality, op9_token_store)}
+QUERIES = {f.__name__: f for f in (op1_toxicity, op2_secret_scan, op3_decontamination, op5_fingerprints, op6_near_duplicates, op7_quality, op9_token_store)}
 ORACLE_SQL: dict[str, str] = {}

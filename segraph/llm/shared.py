@@ -56,9 +56,14 @@ def block_of(key: str, bounds: list[int]):
     """Block number (0..len(bounds)) of a key: how many cut points are below it; null goes to 0."""
     if not bounds:
         return F.lit(0)
-    arr = F.array(*[F.lit(int(b)) for b in bounds]) if len(bounds) < 64 else F.expr(f"array({','.join(f'{int(b)}L' for b in bounds)})")
     k = F.col(key).cast("long")
-    return F.coalesce(F.size(F.filter(arr, lambda b: b < k)), F.lit(0)).cast("int")
+    literal = lambda xs: F.expr(f"array({','.join(f'{int(x)}L' for x in xs)})")
+    below = lambda arr: F.size(F.filter(arr, lambda b: b < k))
+    if len(bounds) <= 64:
+        return F.coalesce(below(literal(bounds)), F.lit(0)).cast("int")
+    step = int(len(bounds) ** 0.5) + 1  # two short searches rather than one long
+    coarse = below(literal(bounds[step - 1 :: step])) * step
+    return F.coalesce(coarse + below(F.slice(literal(bounds), coarse + 1, F.lit(step))), F.lit(0)).cast("int")
 
 
 def batches(schema: pa.Schema, columns: dict) -> pa.RecordBatch:
