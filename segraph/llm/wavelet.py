@@ -128,30 +128,38 @@ def _tokenizer(path: str):
 
 
 _seen: dict[str, dict[bytes, bytes]] = {}
-CACHE_ENTRIES = 400_000
+CACHE_ENTRIES = 1_000_000
+TAIL = b".,!?;:|#$%&*()-"  # ASCII marks that never join letters before them in one piece
+
+
+def _halves(chunk: bytes) -> tuple[bytes, bytes]:
+    """A chunk as letters and the marks behind them, if it is of that form."""
+    base = chunk.rstrip(TAIL)
+    return (base, chunk[len(base) :]) if base and len(base) < len(chunk) and base.decode().isalpha() else (chunk, b"")
 
 
 def encode_texts(texts: list[bytes], path: str, end_id: int) -> list[bytes]:
     """Little-endian uint32 ids of each UTF-8 text and then end_id.
 
-    The tokenizer never lets a piece cross white space, so the pieces of a text
-    are those of its blank-free chunks; every distinct chunk goes through the
-    library once per worker while the bounded cache holds it.  Texts that name
-    a special token are encoded whole.
+    The tokenizer never lets a piece cross white space, nor join letters and
+    the marks behind them, so the pieces of a text are those of its blank-free
+    chunks and their halves; every distinct half goes through the library once
+    per worker while the bounded cache holds it.  Texts that name a special
+    token are encoded whole.
     """
     tok, cache = _tokenizer(path), _seen.setdefault(path, {})
     end = int(end_id).to_bytes(4, "little")
     chunks = [t.lower().split() if b"<|" not in t else None for t in texts]
-    new = {c for cs in chunks if cs is not None for c in cs if c not in cache}
+    parts = {c: _halves(c) for cs in chunks if cs is not None for c in set(cs)}
+    new = [h for h in {h for pair in parts.values() for h in pair} if h not in cache]
     if len(cache) + len(new) > CACHE_ENTRIES:
         cache.clear()
-        new = {c for cs in chunks if cs is not None for c in cs}
-    part = list(new)
-    for k in range(0, len(part), 8192):
-        some = part[k : k + 8192]
+        new = list({h for pair in parts.values() for h in pair})
+    for k in range(0, len(new), 8192):
+        some = new[k : k + 8192]
         for c, e in zip(some, tok.encode_batch_fast([c.decode() for c in some], add_special_tokens=False)):
             cache[c] = np.array(e.ids, "<u4").tobytes()
-    get = cache.__getitem__
+    get = {c: cache[a] + cache[b] if b else cache[a] for c, (a, b) in parts.items()}.__getitem__
     return [(b"".join(map(get, cs)) if cs is not None else np.array(tok.encode(t.decode(), add_special_tokens=False).ids, "<u4").tobytes()) + end for t, cs in zip(texts, chunks)]
 
 
