@@ -127,8 +127,8 @@ def _tokenizer(path: str):
     return Tokenizer.from_file(path)
 
 
-_seen: dict[str, dict[bytes, bytes]] = {}
-CACHE_ENTRIES = 1_000_000
+_seen: dict[str, tuple[dict[bytes, bytes], dict[bytes, bytes]]] = {}
+CACHE_HALVES, CACHE_CHUNKS = 700_000, 500_000
 TAIL = b".,!?;:|#$%&*()-"  # ASCII marks that never join letters before them in one piece
 
 
@@ -144,22 +144,27 @@ def encode_texts(texts: list[bytes], path: str, end_id: int) -> list[bytes]:
     The tokenizer never lets a piece cross white space, nor join letters and
     the marks behind them, so the pieces of a text are those of its blank-free
     chunks and their halves; every distinct half goes through the library once
-    per worker while the bounded cache holds it.  Texts that name a special
+    per worker while the bounded caches hold it.  Texts that name a special
     token are encoded whole.
     """
-    tok, cache = _tokenizer(path), _seen.setdefault(path, {})
+    tok, (cache, whole) = _tokenizer(path), _seen.setdefault(path, ({}, {}))
     end = int(end_id).to_bytes(4, "little")
     chunks = [t.lower().split() if b"<|" not in t else None for t in texts]
-    parts = {c: _halves(c) for cs in chunks if cs is not None for c in set(cs)}
+    here = set().union(*(cs for cs in chunks if cs is not None))
+    if len(whole) + len(here) > CACHE_CHUNKS:
+        whole.clear()
+    parts = {c: _halves(c) for c in here if c not in whole}
     new = [h for h in {h for pair in parts.values() for h in pair} if h not in cache]
-    if len(cache) + len(new) > CACHE_ENTRIES:
+    if len(cache) + len(new) > CACHE_HALVES:
         cache.clear()
         new = list({h for pair in parts.values() for h in pair})
     for k in range(0, len(new), 8192):
         some = new[k : k + 8192]
         for c, e in zip(some, tok.encode_batch_fast([c.decode() for c in some], add_special_tokens=False)):
             cache[c] = np.array(e.ids, "<u4").tobytes()
-    get = {c: cache[a] + cache[b] if b else cache[a] for c, (a, b) in parts.items()}.__getitem__
+    for c, (a, b) in parts.items():
+        whole[c] = cache[a] + cache[b] if b else cache[a]
+    get = whole.__getitem__
     return [(b"".join(map(get, cs)) if cs is not None else np.array(tok.encode(t.decode(), add_special_tokens=False).ids, "<u4").tobytes()) + end for t, cs in zip(texts, chunks)]
 
 
