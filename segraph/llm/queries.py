@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontam, fingerprint, neardup, quality, secret_scan, toxicity, wavelet
+from . import decontam, fingerprint, lmscore, neardup, quality, secret_scan, toxicity, wavelet
 from .shared import prepare, table
 
 WORD_TOKENIZER = "word_bpe_49k.json"
@@ -51,5 +51,10 @@ def op9_token_store(spark, sf_dir):
     return wavelet.read_documents(spark, path, ("ids_crc32", "bigint", wavelet.ids_crc32))
 
 
-QUERIES = {f.__name__: f for f in (op1_toxicity, op2_secret_scan, op3_decontamination, op5_fingerprints, op6_near_duplicates, op7_quality, op9_token_store)}
+def op10_lm_scores(spark, sf_dir):
+    prepare(spark)
+    return lmscore.digest(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op1_toxicity, op2_secret_scan, op3_decontamination, op5_fingerprints, op6_near_duplicates, op7_quality, op9_token_store, op10_lm_scores)}
 ORACLE_SQL: dict[str, str] = {}
