@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import decontam, fingerprint, lmscore, neardup, quality, secret_scan, toxicity, wavelet
+from . import decontam, fingerprint, lmscore, neardup, quality, secret_scan, sp_sampling, token_counts, toxicity, wavelet
 from .shared import prepare, table
 
+PIECES = "piece_bpe_32k.model"
 WORD_TOKENIZER = "word_bpe_49k.json"
 
 
@@ -29,6 +30,11 @@ def op3_decontamination(spark, sf_dir):
     return decontam.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op4_token_counts(spark, sf_dir):
+    prepare(spark)
+    return token_counts.digest(table(spark, sf_dir, "documents"), tokenizer_path(PIECES))
+
+
 def op5_fingerprints(spark, sf_dir):
     prepare(spark)
     return fingerprint.digest(table(spark, sf_dir, "documents"))
@@ -44,6 +50,11 @@ def op7_quality(spark, sf_dir):
     return quality.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op8_sampled_pieces(spark, sf_dir):
+    prepare(spark)
+    return sp_sampling.encode(table(spark, sf_dir, "documents"), tokenizer_path(PIECES), keep_ids=False)
+
+
 def op9_token_store(spark, sf_dir):
     prepare(spark)
     path = wavelet.store_path(spark)
@@ -56,5 +67,5 @@ def op10_lm_scores(spark, sf_dir):
     return lmscore.digest(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_toxicity, op2_secret_scan, op3_decontamination, op5_fingerprints, op6_near_duplicates, op7_quality, op9_token_store, op10_lm_scores)}
+QUERIES = {f.__name__: f for f in (op1_toxicity, op2_secret_scan, op3_decontamination, op4_token_counts, op5_fingerprints, op6_near_duplicates, op7_quality, op8_sampled_pieces, op9_token_store, op10_lm_scores)}
 ORACLE_SQL: dict[str, str] = {}

@@ -108,21 +108,42 @@ def find(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
     return docs.select(*[f.name for f in keep]).mapInArrow(work, T.StructType([*keep, *[T.StructField(n, kind) for n in own]]))
 
 
-def redact(text: str | None, spans, mask: str = "[SECRET]") -> str | None:
-    """The text with each span, overlapping ones as one, replaced by mask."""
+def redact(text: str | None, spans, word: str = "[SECRET]") -> str | None:
+    """The text with each span, overlapping ones as one, replaced by word."""
     if not text or not spans:
         return text
     out, at = [], 0
     end = -1
     for s, e in sorted((x["start"], x["end"]) for x in spans):
         if s >= end:
-            out += [text[at:s], mask]
+            out += [text[at:s], word]
             at = end = e
         elif e > end:
             at = end = e
     return "".join([*out, text[at:]])
 
 
+def mask(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
+    """docs with every span replaced by ``[SECRET]``, and n_masked, the number of spans."""
+    prepare(docs.sparkSession)
+    keep = [f for f in docs.schema.fields if f.name != "n_masked"]
+
+    def work(it):
+        for batch in it:
+            at = batch.schema.get_field_index("text")
+            texts, n = [], []
+            for a in range(0, batch.num_rows, 256):
+                for t in batch.column(at).slice(a, 256).to_pylist():
+                    spans = all_spans(t or "", novelty)[1]
+                    texts.append(redact(t, [{"start": s, "end": e} for s, e, _ in spans]))
+                    n.append(len(spans))
+            cols = list(batch.columns)
+            cols[at] = pa.array(texts, pa.string())
+            yield pa.RecordBatch.from_arrays([*cols, pa.array(n, pa.int32())], names=[*batch.schema.names, "n_masked"])
+
+    return docs.select(*[f.name for f in keep]).mapInArrow(work, T.StructType([*keep, T.StructField("n_masked", T.IntegerType())]))
+
+
 def digest(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
     """One row per document: counts by kind, hash of the base spans, all spans."""
     f = find(docs.select("doc_id", F.col("text").cast("string").alias("text")), novelty)
