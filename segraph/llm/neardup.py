@@ -6,11 +6,11 @@
 2. Texts of one word sequence are one class; only a representative goes on.
 3. Bands with more than one member give candidates.  Round one links each
    member to the smallest id that any of its bands holds.  Later rounds look
-   only at bands whose members are still in different components: small ones
-   give all their cross-component pairs, large ones compare all members with
-   the next LEADERS members, until every band is of one component or every
-   member has led.  So no band emits more rows a round than members times a
-   constant, and no pair of a band is left out.
+   only at bands whose members are still in different components.  Any pair
+   still open there has an end outside the band's largest component; those
+   strangers, LEADERS of them a round (all, if SMALL or fewer), are compared
+   with all members of other components.  A stranger that led is done.  So a
+   round emits members times a constant, and no pair of a band is left out.
 4. The collision-corrected similarity of two signatures discards pairs that are
    SLACK standard errors below the threshold; the rest is confirmed on the full
    shingle sets.
@@ -38,7 +38,7 @@ from .shared import arrow_schema, materialise, prepare
 from .textvec import Words, column_bytes, slices
 
 K, BANDS, BITS = 128, 32, 8
-SMALL, LEADERS, SLACK = 24, 16, 6.0
+SMALL, LEADERS, SLACK = 64, 32, 6.0
 _rng = np.random.Generator(np.random.PCG64(7))
 ORDERS = _rng.integers(1, 2**63, K, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 PASS_DDL = "doc_id bigint, n_shingles bigint, k1 bigint, k2 bigint, bands array<bigint>, sig binary"
@@ -180,44 +180,40 @@ def clusters(docs: DataFrame, size: int = 5, threshold: tuple[int, int] = (80, 1
     first = band.where("rep <> head").groupBy(F.col("rep").alias("a")).agg(F.min("head").alias("b"))
     links = materialise(_confirmed(first, texts, size, num, den), "near-links")
     comp = components(links)
-    done_small, turn = False, 0
+    led, turn = None, 0
     while True:
-        now = band.select("key", "rep").join(comp, "rep", "left").select("key", "rep", F.coalesce("comp", "rep").alias("comp"))
-        mixed = now.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("n")).where("lo <> hi")
-        if done_small:
-            mixed = mixed.where(F.col("n") > SMALL)
-        left = materialise(now.join(mixed.select("key", "n"), "key"), "near-left")
-        if left.limit(1).count() == 0:
-            break
-        pairs = []
-        if not done_small:
-            s = left.where(F.col("n") <= SMALL)
-            o = s.select("key", F.col("rep").alias("b"), F.col("comp").alias("cb"))
-            pairs.append(s.join(o, "key").where("rep > b and comp <> cb").select(F.col("rep").alias("a"), "b"))
-        big = left.where(F.col("n") > SMALL)
-        ranked = _nth_leaders(big, turn)
-        pairs.append(big.join(ranked, "key").where("rep <> b and comp <> cb").select(F.greatest("rep", "b").alias("a"), F.least("rep", "b").alias("b")))
-        more_big = big.where(F.ceil(F.col("n") / LEADERS) > turn + 1).limit(1).count() > 0
-        new = pairs[0] if len(pairs) == 1 else pairs[0].union(pairs[1])
-        found = _confirmed(materialise(new.distinct(), "near-pairs"), texts, size, num, den)
-        links = materialise(links.union(found).distinct(), "near-links")
-        comp = components(links)
-        done_small, turn = True, turn + 1
-        if not more_big:
+        now = materialise(band.select("key", "rep").join(comp, "rep", "left").select("key", "rep", F.coalesce("comp", "rep").alias("comp")), "near-now")
+        by_comp = now.groupBy("key", "comp").agg(F.count("*").alias("n"))
+        mixed = by_comp.groupBy("key").agg(F.max(F.struct("n", "comp")).alias("main"), F.count("*").alias("comps")).where("comps > 1").select("key", F.col("main.comp").alias("main"))
+        left = materialise(now.join(mixed, "key"), "near-left")
+        strangers = left.where("comp <> main").select("key", "rep", "comp")
+        if led is not None:
+            strangers = strangers.join(led, ["key", "rep"], "left_anti")
+        rest = strangers.groupBy("key").agg(F.count("*").alias("rest"))
+        share = F.ceil(F.col("rest") / LEADERS)
+        leaders = materialise(strangers.join(rest, "key").where((F.col("rest") <= SMALL) | (F.pmod(F.xxhash64("rep", F.lit(turn)), share) == 0)).select("key", F.col("rep").alias("b"), F.col("comp").alias("cb")), "near-leaders")
+        if leaders.limit(1).count() == 0 and (turn == 0 or strangers.limit(1).count() == 0):
             break
+        pairs = left.join(leaders, "key").where("comp <> cb").select(F.greatest("rep", "b").alias("a"), F.least("rep", "b").alias("b")).distinct()
+        found = materialise(_confirmed(materialise(pairs, "near-pairs"), texts, size, num, den), "near-links")
+        own = leaders.select("key", F.col("b").alias("rep"))
+        led = materialise(own if led is None else led.union(own), "near-led")
+        comp = _joined(comp, found)
+        turn += 1
     known = classes.join(comp, "rep", "left").select("k1", "k2", F.coalesce("comp", "rep").alias("component"))
     known = materialise(known, "near-result")
     return seen.select("doc_id", "n_shingles", "k1", "k2").join(known, ["k1", "k2"], "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
-def _nth_leaders(big: DataFrame, turn: int) -> DataFrame:
-    """The turn-th LEADERS members of each band by hash order.  Members are
-    found by counting, bucket by bucket of the hash range, never by sorting a
-    whole band in one task: the order is that of a hash, cut into as many
-    slots as the band needs, and a slot holds LEADERS members on average."""
-    slots = F.ceil(F.col("n") / LEADERS)
-    slot = F.pmod(F.xxhash64("rep", F.lit(11)), slots)
-    return big.where((slot == turn) & (slots > turn)).select("key", F.col("rep").alias("b"), F.col("comp").alias("cb"))
+def _joined(comp: DataFrame, found: DataFrame) -> DataFrame:
+    """Components after more links: those of the graph of components, composed."""
+    if found.limit(1).count() == 0:
+        return comp
+    to = lambda df, c: df.join(comp.toDF(c, "_c"), c, "left").withColumn(c, F.coalesce("_c", c)).drop("_c")
+    up = components(to(to(found, "a"), "b")).toDF("comp", "_up")
+    moved = comp.join(up, "comp", "left").select("rep", F.coalesce("_up", "comp").alias("comp"))
+    fresh = up.select(F.col("comp").alias("rep"), F.col("_up").alias("comp"))
+    return materialise(moved.union(fresh).groupBy("rep").agg(F.min("comp").alias("comp")), "near-components")
 
 
 def digest(docs: DataFrame, size: int = 4) -> DataFrame:
