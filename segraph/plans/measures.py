@@ -114,13 +114,13 @@ def zed(spark, sf):
 def _conv_sql(k, d=1):
     r = len(k) // 2
     taps = ",".join(f"({(dy - r) * d},{(dx - r) * d},{w}::DOUBLE)" for dy, row in enumerate(k) for dx, w in enumerate(row))
-    return f"WITH {TINY}, {Z} SELECT a.scene_id,a.y,a.x,round(coalesce(sum(b.z*t.w),0),6) AS z FROM z a CROSS JOIN (VALUES {taps}) t(dy,dx,w) LEFT JOIN z b ON b.scene_id=a.scene_id AND b.y=a.y+t.dy AND b.x=a.x+t.dx GROUP BY 1,2,3"
+    return f"WITH {TINY}, {Z} SELECT a.scene_id,a.y,a.x,round(coalesce(sum(b.z*t.w),0),6)+0.0::DOUBLE AS z FROM z a CROSS JOIN (VALUES {taps}) t(dy,dx,w) LEFT JOIN z b ON b.scene_id=a.scene_id AND b.y=a.y+t.dy AND b.x=a.x+t.dx GROUP BY 1,2,3"
 
 
 def _conv(name, k, d=1):
     @query(name, _conv_sql(k, d))
     def run(spark, sf):
-        return N.conv2d(zed(spark, sf), k, dilation=d).withColumn("z", SIX("z"))
+        return N.conv2d(zed(spark, sf), k, dilation=d).withColumn("z", SIX("z") + 0.0)
 
 
 _conv("conv3x3", K3)
@@ -139,11 +139,11 @@ def head_forward(spark, sf):
     return N.head(zed(spark, sf), K3, K3B, [[0.7]])
 
 
-@query("topdown_merge", f"WITH {TINY}, {Z}, c AS (SELECT scene_id,y//2 AS y,x//2 AS x,avg(z) AS z FROM z GROUP BY 1,2,3) SELECT z.scene_id,z.y,z.x,round(z.z+c.z,6) AS z FROM z JOIN c ON c.scene_id=z.scene_id AND c.y=z.y//2 AND c.x=z.x//2")
+@query("topdown_merge", f"WITH {TINY}, {Z}, c AS (SELECT scene_id,y//2 AS y,x//2 AS x,avg(z) AS z FROM z GROUP BY 1,2,3) SELECT z.scene_id,z.y,z.x,round(z.z+c.z+1e-9,5) AS z FROM z JOIN c ON c.scene_id=z.scene_id AND c.y=z.y//2 AND c.x=z.x//2")
 def topdown_merge(spark, sf):
     z = zed(spark, sf)
     c = z.groupBy("scene_id", F.floor(F.col("y") / 2).cast("int").alias("y"), F.floor(F.col("x") / 2).cast("int").alias("x")).agg(F.avg("z").alias("z"))
-    return N.topdown_merge(z, c).withColumn("z", SIX("z"))
+    return N.topdown_merge(z, c).withColumn("z", F.round(F.col("z") + 1e-9, 5))
 
 
 @query("lr_schedule", "SELECT range AS step,round(CASE WHEN range<1000 THEN 0.01*range/1000 WHEN range<11000 THEN 0.01 ELSE 0.01*pow(greatest((55500-range)/44500.0::DOUBLE,0),0.9) END,8) AS lr FROM range(55501)")
