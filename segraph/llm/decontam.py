@@ -149,7 +149,7 @@ def original_spans(text: str, hit_from: list[int], hit_to: list[int]) -> list[tu
     """Code-point spans of hit word runs in the original text."""
     import re
 
-    at = [m.span() for m in re.finditer(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", text)]
+    at = [m.span() for m in re.finditer(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+", text)]
     return [(at[f][0], at[e - 1][1]) for f, e in zip(hit_from, hit_to)]
 
 

@@ -5,12 +5,14 @@
    the full minima, and two keys of the whole word sequence.
 2. Texts of one word sequence are one class; only a representative goes on.
 3. Bands with more than one member give candidates.  Round one links each
-   member to the smallest id that any of its bands holds.  Later rounds look
-   only at bands whose members are still in different components.  Any pair
-   still open there has an end outside the band's largest component; those
-   strangers, LEADERS of them a round (all, if SMALL or fewer), are compared
-   with all members of other components.  A stranger that led is done.  So a
-   round emits members times a constant, and no pair of a band is left out.
+   member to the smallest id that any of its bands holds.  For the members of
+   bands that still hold several components, shingles that no other member has
+   are counted: two members share at most the smaller of their remaining
+   numbers, which rules most pairs out exactly.  Round two links to the member
+   with the fewest shingles of its own.  Any pair still open has an end outside
+   the band's largest component; those strangers, LEADERS of them a round (all,
+   if SMALL or fewer), are compared with all members that the bound leaves.  A
+   stranger that led is done.  No pair of a band is left out.
 4. The collision-corrected similarity of two signatures discards pairs that are
    SLACK standard errors below the threshold; the rest is confirmed on the full
    shingle sets.
@@ -38,7 +40,7 @@ from .shared import arrow_schema, materialise, prepare
 from .textvec import Words, column_bytes, slices
 
 K, BANDS, BITS = 128, 32, 8
-SMALL, LEADERS, SLACK = 64, 32, 6.0
+SMALL, LEADERS, SLACK = 256, 128, 6.0
 _rng = np.random.Generator(np.random.PCG64(7))
 ORDERS = _rng.integers(1, 2**63, K, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 PASS_DDL = "doc_id bigint, n_shingles bigint, k1 bigint, k2 bigint, bands array<bigint>, sig binary"
@@ -174,30 +176,42 @@ def clusters(docs: DataFrame, size: int = 5, threshold: tuple[int, int] = (80, 1
     band = materialise(band.join(held, "key"), "near-bands")
     involved = band.select("rep").distinct()
     texts = materialise(
-        src.join(involved, src["doc_id"] == involved["rep"], "left_semi").groupBy(F.col("doc_id").alias("rep")).agg(F.min("text").alias("text")).join(live.groupBy(F.col("doc_id").alias("rep")).agg(F.min("sig").alias("sig")), "rep"),
+        src.join(involved, src["doc_id"] == involved["rep"], "left_semi").groupBy(F.col("doc_id").alias("rep")).agg(F.min("text").alias("text")).join(live.groupBy(F.col("doc_id").alias("rep")).agg(F.min("sig").alias("sig"), F.min("n_shingles").alias("n")), "rep"),
         "near-texts",
     )
     first = band.where("rep <> head").groupBy(F.col("rep").alias("a")).agg(F.min("head").alias("b"))
     links = materialise(_confirmed(first, texts, size, num, den), "near-links")
     comp = components(links)
-    led, turn = None, 0
+    led, turn, sizes = None, 0, None
     while True:
         now = materialise(band.select("key", "rep").join(comp, "rep", "left").select("key", "rep", F.coalesce("comp", "rep").alias("comp")), "near-now")
         by_comp = now.groupBy("key", "comp").agg(F.count("*").alias("n"))
         mixed = by_comp.groupBy("key").agg(F.max(F.struct("n", "comp")).alias("main"), F.count("*").alias("comps")).where("comps > 1").select("key", F.col("main.comp").alias("main"))
-        left = materialise(now.join(mixed, "key"), "near-left")
-        strangers = left.where("comp <> main").select("key", "rep", "comp")
-        if led is not None:
-            strangers = strangers.join(led, ["key", "rep"], "left_anti")
-        rest = strangers.groupBy("key").agg(F.count("*").alias("rest"))
-        share = F.ceil(F.col("rest") / LEADERS)
-        leaders = materialise(strangers.join(rest, "key").where((F.col("rest") <= SMALL) | (F.pmod(F.xxhash64("rep", F.lit(turn)), share) == 0)).select("key", F.col("rep").alias("b"), F.col("comp").alias("cb")), "near-leaders")
+        left = now.join(mixed, "key")
+        if sizes is None:
+            left = materialise(left, "near-left")
+            sizes = materialise(_sizes(texts, left.select("rep").distinct(), size), "near-sizes")
+        left = materialise(left.join(sizes, "rep"), "near-left")
+        if turn == 0:
+            # the member with the fewest shingles of its own stands nearest to all others
+            leaders = left.groupBy("key").agg(F.min(F.struct("u", "rep", "n", "comp")).alias("x")).select("key", F.col("x.rep").alias("b"), F.col("x.comp").alias("cb"), F.col("x.n").alias("nb"), F.col("x.u").alias("ub"))
+        else:
+            strangers = left.where("comp <> main").select("key", "rep", "comp", "n", "u")
+            if led is not None:
+                strangers = strangers.join(led, ["key", "rep"], "left_anti")
+            rest = strangers.groupBy("key").agg(F.count("*").alias("rest"))
+            share = F.ceil(F.col("rest") / LEADERS)
+            leaders = strangers.join(rest, "key").where((F.col("rest") <= SMALL) | (F.pmod(F.xxhash64("rep", F.lit(turn)), share) == 0)).select("key", F.col("rep").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("u").alias("ub"))
+        leaders = materialise(leaders, "near-leaders")
         if leaders.limit(1).count() == 0 and (turn == 0 or strangers.limit(1).count() == 0):
             break
-        pairs = left.join(leaders, "key").where("comp <> cb").select(F.greatest("rep", "b").alias("a"), F.least("rep", "b").alias("b")).distinct()
+        most = F.least(F.col("n") - F.col("u"), F.col("nb") - F.col("ub"))
+        can = (F.lit(den) * most >= F.lit(num) * (F.col("n") + F.col("nb") - most)) & (F.col("comp") != F.col("cb"))
+        pairs = left.join(leaders.withColumnRenamed("key", "_k"), (F.col("key") == F.col("_k")) & can).select(F.greatest("rep", "b").alias("a"), F.least("rep", "b").alias("b")).distinct()
         found = materialise(_confirmed(materialise(pairs, "near-pairs"), texts, size, num, den), "near-links")
-        own = leaders.select("key", F.col("b").alias("rep"))
-        led = materialise(own if led is None else led.union(own), "near-led")
+        if turn:
+            own = leaders.select("key", F.col("b").alias("rep"))
+            led = materialise(own if led is None else led.union(own), "near-led")
         comp = _joined(comp, found)
         turn += 1
     known = classes.join(comp, "rep", "left").select("k1", "k2", F.coalesce("comp", "rep").alias("component"))
@@ -205,6 +219,24 @@ def clusters(docs: DataFrame, size: int = 5, threshold: tuple[int, int] = (80, 1
     return seen.select("doc_id", "n_shingles", "k1", "k2").join(known, ["k1", "k2"], "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
+def _sizes(texts: DataFrame, members: DataFrame, size: int) -> DataFrame:
+    """(rep, n, u): distinct shingles of each member, and how many of them no
+    other member has.  Two members share at most the smaller n - u."""
+    schema = arrow_schema("rep bigint, h bigint")
+
+    def work(it):
+        for batch in it:
+            for part in slices(batch, "text", 2 << 20):
+                sh, of = Words(*column_bytes(part.column(1))).shingles(size)
+                each = [np.unique(sh[x:y]) for x, y in zip(of[:-1], of[1:])]
+                rep = np.repeat(part.column(0).to_numpy(), [len(e) for e in each])
+                yield pa.RecordBatch.from_arrays([pa.array(rep), pa.array(np.concatenate(each).view(np.int64))], schema=schema)
+
+    mine = texts.join(members, "rep", "left_semi").select("rep", "text", "n")
+    single = mine.select("rep", "text").mapInArrow(work, "rep bigint, h bigint").groupBy("h").agg(F.count("*").alias("c"), F.min("rep").alias("rep")).where("c = 1").groupBy("rep").agg(F.count("*").alias("u"))
+    return mine.select("rep", "n").join(single, "rep", "left").select("rep", "n", F.coalesce("u", F.lit(0)).alias("u"))
+
+
 def _joined(comp: DataFrame, found: DataFrame) -> DataFrame:
     """Components after more links: those of the graph of components, composed."""
     if found.limit(1).count() == 0:

@@ -99,10 +99,10 @@ class Lattices:
 
 
 def _uniform(key: int, *parts) -> np.ndarray:
-    h = U(key)
+    h = np.array(key, np.uint64)[None]
     for x in parts:
-        h = mix(np.asarray(h ^ (np.asarray(x).astype(np.uint64) + U(0x9E3779B97F4A7C15))) * U(0x2545F4914F6CDD1D))
-    return (np.asarray(h) >> U(11)).astype(np.float64) * 2.0**-53 + 2.0**-54
+        h = mix((h ^ (np.atleast_1d(np.asarray(x)).astype(np.uint64) + U(0x9E3779B97F4A7C15))) * U(0x2545F4914F6CDD1D))
+    return (h >> U(11)).astype(np.float64) * 2.0**-53 + 2.0**-54
 
 
 def _below(mu: np.ndarray, top: float, u: np.ndarray) -> np.ndarray:
@@ -162,7 +162,7 @@ def sample(lat: Lattices, words: list[str], k: int, key: int) -> list[tuple[_Pat
     most, by falling perturbed value.  ``words`` must be in the lattices."""
     first, logq, _, _, _ = lat.arrays
     roots = np.array([lat.root[w] for w in words], np.int64)
-    value = float(-np.log(-np.log(_uniform(key, 0xA5, 0))))
+    value = float(-np.log(-np.log(_uniform(key, 0xA5, 0)[0])))
     queue: list = []
     out: list[_Path] = []
     path, since = _draw(lat, roots, key, 0, value, None, 0, 0), 0
