@@ -31,13 +31,12 @@ class GridNeighbours:
 def vector_sum():
     """Grouped aggregate: entrywise sum of array columns, in Arrow batches."""
     import numpy as np
-    import pandas as pd
+    from pyspark.sql.functions import PandasUDFType
 
-    @pandas_udf("array<double>")
-    def seg_vecsum(v: pd.Series) -> list:
+    def seg_vecsum(v):
         return np.stack(v.to_numpy()).sum(0).tolist() if len(v) else []
 
-    return seg_vecsum
+    return pandas_udf(seg_vecsum, "array<double>", PandasUDFType.GROUPED_AGG)
 
 
 def register_all(spark: SparkSession) -> None:

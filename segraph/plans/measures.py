@@ -287,7 +287,7 @@ def ap_by_size(spark, sf):
     return out
 
 
-@query("miou", PX + " SELECT cls,round(both/(nt+np-both)::DOUBLE,6) AS iou FROM (SELECT t AS cls,sum(n) AS nt,sum(CASE WHEN p=t THEN n ELSE 0 END) AS both FROM c GROUP BY 1) JOIN (SELECT p AS cls,sum(n) AS np FROM c GROUP BY 1) USING (cls)".replace("FROM c", "FROM (SELECT coalesce(cls,0) AS t,CASE WHEN " + S.hash_sql("scene_id", "pixel", "2", 19) + "<0.1 THEN (coalesce(cls,0)+1)%9 ELSE coalesce(cls,0) END AS p,count(*) AS n FROM px GROUP BY 1,2)"))
+@query("miou", PX + " SELECT cls,round(bth/(nt+np-bth)::DOUBLE,6) AS iou FROM (SELECT t AS cls,sum(n) AS nt,sum(CASE WHEN p=t THEN n ELSE 0 END) AS bth FROM c GROUP BY 1) JOIN (SELECT p AS cls,sum(n) AS np FROM c GROUP BY 1) USING (cls)".replace("FROM c", "FROM (SELECT coalesce(cls,0) AS t,CASE WHEN " + S.hash_sql("scene_id", "pixel", "2", 19) + "<0.1 THEN (coalesce(cls,0)+1)%9 ELSE coalesce(cls,0) END AS p,count(*) AS n FROM px GROUP BY 1,2)"))
 def miou(spark, sf):
     c = F.coalesce("cls", F.lit(0))
     px = pixels(spark, sf).select(c.alias("truth"), F.when(S.unit_hash(F.col("scene_id"), F.col("pixel"), 2, 19) < 0.1, (c + 1) % 9).otherwise(c).alias("pred"))

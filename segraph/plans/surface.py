@@ -47,7 +47,7 @@ shared("agg_cube", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineit
 shared("agg_gsets", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())")
 shared("agg_maxby", "SELECT l_suppkey, max_by(l_partkey, struct(l_extendedprice, l_orderkey, l_linenumber, l_partkey)) AS part FROM lineitem GROUP BY l_suppkey", "SELECT l_suppkey,arg_max(l_partkey,(l_extendedprice,l_orderkey,l_linenumber,l_partkey)) AS part FROM lineitem GROUP BY 1")
 shared("win_rank", "SELECT c_custkey, rank() OVER w AS rk, dense_rank() OVER w AS dr, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_mktsegment, c_custkey) AS rn FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_mktsegment)")
-shared("win_lag", "SELECT event_id, event_id - lag(event_id) OVER w AS back, lead(event_id) OVER w - event_id AS ahead, first_value(event_id) OVER w AS f FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
+shared("win_lag", "SELECT event_id, event_id - (lag(event_id) OVER w) AS back, (lead(event_id) OVER w) - event_id AS ahead, first_value(event_id) OVER w AS f FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
 shared("win_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 3 PRECEDING AND 1 FOLLOWING) AS n, max(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 3 PRECEDING AND 1 FOLLOWING) AS m FROM events")
 shared("win_range", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY o_orderkey RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) AS n FROM orders")
 shared("win_cume", "SELECT c_custkey, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd, ntile(4) OVER (PARTITION BY c_nationkey ORDER BY c_acctbal, c_custkey) AS q FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_acctbal)")
