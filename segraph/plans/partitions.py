@@ -203,12 +203,12 @@ def upsample_labels(spark, sf):
     return PY.upsample2(coarse(spark, sf), 15, 13)
 
 
-RECLAIM = FULL + f", c AS ({COARSE}), d AS (SELECT a.scene_id,a.y,a.x,a.label,bool_or(b.label IS DISTINCT FROM a.label) AS rim FROM (SELECT c.*,c.y+dy AS oy,c.x+dx AS ox FROM c CROSS JOIN (VALUES (-1,0),(1,0),(0,-1),(0,1)) o(dy,dx)) a LEFT JOIN c b ON b.scene_id=a.scene_id AND b.y=a.oy AND b.x=a.ox WHERE a.oy>=0 AND a.ox>=0 GROUP BY 1,2,3,4) SELECT scene_id,y,x,CASE WHEN NOT rim THEN label END AS label FROM d"
+RECLAIM = FULL + f", c AS ({COARSE}), d AS (SELECT a.scene_id,a.y,a.x,a.label,bool_or(b.label IS DISTINCT FROM a.label) AS rim FROM (SELECT c.*,c.y+dy AS oy,c.x+dx AS ox FROM c CROSS JOIN (VALUES (-1,0),(1,0),(0,-1),(0,1)) o(dy,dx)) a LEFT JOIN c b ON b.scene_id=a.scene_id AND b.y=a.oy AND b.x=a.ox WHERE a.oy>=0 AND a.ox>=0 GROUP BY 1,2,3,4) SELECT scene_id,y,x,CASE WHEN NOT rim THEN label ELSE -1 END AS label FROM d"
 
 
 @query("reclaim_rim", RECLAIM)
 def reclaim_rim(spark, sf):
-    return PY.reclaim_rim(coarse(spark, sf))
+    return PY.reclaim_rim(coarse(spark, sf)).withColumn("label", F.coalesce("label", F.lit(-1)))
 
 
 def _cascade(name, **kw):

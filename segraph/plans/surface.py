@@ -35,7 +35,7 @@ shared("scan_pruned", "SELECT l_orderkey, l_partkey FROM lineitem WHERE l_orderk
 shared("filter_predicates", "SELECT p_partkey, CASE WHEN p_size > 25 THEN 'big' ELSE 'small' END AS kind, coalesce(p_brand, '') AS brand FROM part WHERE p_size BETWEEN 5 AND 40 AND p_type LIKE '%A%' AND p_partkey % 7 IN (1, 3) AND NOT (p_brand IS NULL)")
 shared("join_inner", "SELECT o_orderkey, c_nationkey FROM orders JOIN customer ON o_custkey = c_custkey WHERE o_orderkey % 5 = 0")
 shared("join_left", "SELECT c_custkey, count(o_orderkey) AS n FROM customer LEFT JOIN orders ON o_custkey = c_custkey GROUP BY c_custkey")
-shared("join_full", "SELECT coalesce(a.k, b.k) AS k, a.n AS an, b.n AS bn FROM (SELECT c_nationkey AS k, count(*) AS n FROM customer WHERE c_nationkey < 15 GROUP BY c_nationkey) a FULL OUTER JOIN (SELECT s_nationkey AS k, count(*) AS n FROM supplier WHERE s_nationkey > 8 GROUP BY s_nationkey) b ON a.k = b.k")
+shared("join_full", "SELECT coalesce(a.k, b.k) AS k, coalesce(a.n, 0) AS an, coalesce(b.n, 0) AS bn FROM (SELECT c_nationkey AS k, count(*) AS n FROM customer WHERE c_nationkey < 15 GROUP BY c_nationkey) a FULL OUTER JOIN (SELECT s_nationkey AS k, count(*) AS n FROM supplier WHERE s_nationkey > 8 GROUP BY s_nationkey) b ON a.k = b.k")
 shared("join_semi", "SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
 shared("join_anti", "SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_orderkey % 3 = 0)")
 shared("join_cross", "SELECT r_name, n_name FROM region CROSS JOIN nation")
@@ -47,7 +47,7 @@ shared("agg_cube", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineit
 shared("agg_gsets", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())")
 shared("agg_maxby", "SELECT l_suppkey, max_by(l_partkey, struct(l_extendedprice, l_orderkey, l_linenumber, l_partkey)) AS part FROM lineitem GROUP BY l_suppkey", "SELECT l_suppkey,arg_max(l_partkey,(l_extendedprice,l_orderkey,l_linenumber,l_partkey)) AS part FROM lineitem GROUP BY 1")
 shared("win_rank", "SELECT c_custkey, rank() OVER w AS rk, dense_rank() OVER w AS dr, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_mktsegment, c_custkey) AS rn FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_mktsegment)")
-shared("win_lag", "SELECT event_id, event_id - (lag(event_id) OVER w) AS back, (lead(event_id) OVER w) - event_id AS ahead, first_value(event_id) OVER w AS f FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
+shared("win_lag", "SELECT event_id, coalesce(event_id - (lag(event_id) OVER w), -1) AS back, coalesce((lead(event_id) OVER w) - event_id, -1) AS ahead, first_value(event_id) OVER w AS f FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
 shared("win_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 3 PRECEDING AND 1 FOLLOWING) AS n, max(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 3 PRECEDING AND 1 FOLLOWING) AS m FROM events")
 shared("win_range", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY o_orderkey RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) AS n FROM orders")
 shared("win_cume", "SELECT c_custkey, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd, ntile(4) OVER (PARTITION BY c_nationkey ORDER BY c_acctbal, c_custkey) AS q FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_acctbal)")
@@ -79,12 +79,12 @@ def join_range(spark, sf):
     return RL.overlap_join(b, b, "lo", "hi", 8, "scene_id").where("inst_no < inst_no_r").select("scene_id", F.col("inst_no").alias("a"), F.col("inst_no_r").alias("b"))
 
 
-@query("join_asof", "SELECT a.event_id,(SELECT arg_max(b.event_id,(b.ts,b.event_id)) FROM events b WHERE b.user_id=a.user_id AND b.event_type='view' AND b.ts<a.ts) AS asof_vid FROM events a WHERE a.event_type='click'")
+@query("join_asof", "SELECT a.event_id,coalesce((SELECT arg_max(b.event_id,(b.ts,b.event_id)) FROM events b WHERE b.user_id=a.user_id AND b.event_type='view' AND b.ts<a.ts),-1) AS asof_vid FROM events a WHERE a.event_type='click'")
 def join_asof(spark, sf):
     e = table(spark, sf, "events").select("event_id", "user_id", "ts", "event_type")
     clicks = e.where("event_type = 'click'").select("event_id", "user_id", "ts")
     views = e.where("event_type = 'view'").select("user_id", "ts", F.col("event_id").alias("vid"))
-    return RL.asof_join(clicks, views, "user_id", "ts", ["vid"]).select("event_id", "asof_vid")
+    return RL.asof_join(clicks, views, "user_id", "ts", ["vid"]).select("event_id", F.coalesce("asof_vid", F.lit(-1)).alias("asof_vid"))
 
 
 @query("join_interval", "SELECT a.event_id AS a,b.event_id AS b FROM events a JOIN events b ON a.user_id=b.user_id AND a.event_id<b.event_id AND abs(epoch_us(a.ts)-epoch_us(b.ts))<=7200000000")
