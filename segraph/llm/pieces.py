@@ -24,6 +24,7 @@ class Pieces:
         self.text = [sp.id_to_piece(i) for i in range(size)]
         special = [i for i in range(size) if sp.is_control(i) or sp.is_unknown(i) or sp.is_unused(i)]
         self.bytes = [sp.piece_to_id(f"<0x{b:02X}>") for b in range(256)]
+        self.byte_of = {i: b for b, i in enumerate(self.bytes)}
         out = set(special) | {i for i in self.bytes if sp.is_byte(i)}
         plain = [i for i in range(size) if i not in out]
         lp = -np.log(np.arange(1, len(plain) + 1)) - np.log((1.0 / np.arange(1, len(plain) + 1)).sum())
@@ -37,8 +38,10 @@ class Pieces:
 
     def decode(self, ids) -> str:
         """The words of a piece sequence, joined by single blanks."""
+        back = self.byte_of
+        if not any(map(back.__contains__, ids)):
+            return "".join(map(self.text.__getitem__, ids)).replace(MARK, " ").lstrip(" ")
         out, run = [], bytearray()
-        back = {i: b for b, i in enumerate(self.bytes)}
         for i in ids:
             if i in back:
                 run.append(back[i])

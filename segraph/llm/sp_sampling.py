@@ -32,76 +32,133 @@ from pyspark.sql import functions as F
 
 from . import pieces as P
 from .shared import arrow_schema, prepare
-from .textvec import mix
+from .textvec import mix, powers
 
 U = np.uint64
 SAMPLES = 2
-MOST_OPTIONS = 6_000_000
+MOST_OPTIONS = 4_000_000
+REACH = 38.0  # a Gumbel variable made from 53 random bits never exceeds its location by more
+FIRST = 192  # choices looked at before asking whether later ones can matter
+
+
+class _Hashes:
+    """Hashes of all pieces, for looking up substrings in bulk."""
+
+    def __init__(self, v: P.Pieces):
+        names = list(v.logp)
+        h = np.array([self.of(np.array([ord(c) for c in n], np.uint64)) for n in names], np.uint64)
+        order = np.argsort(h)
+        self.hash = h[order]
+        if len(np.unique(h)) < len(h):
+            raise ValueError("two pieces share a hash")
+        self.logp = np.array([v.logp[n] for n in names])[order]
+        self.id = np.array([v.id[n] for n in names], np.int32)[order]
+        # which lengths occur, by first character: most substrings are ruled out without a search
+        self.starts: dict[int, int] = {}
+        for n in names:
+            self.starts[ord(n[0])] = max(self.starts.get(ord(n[0]), 0), len(n))
+
+    @staticmethod
+    def of(cp: np.ndarray) -> np.uint64:
+        return mix(np.array([(mix(cp + U(0x51)) * powers("base", len(cp))).sum() + U(len(cp))], np.uint64))[0]
 
 
 class Lattices:
     """Choice nodes of words: node = position in a word; options = pieces from
-    there, with probabilities given that the word is completed."""
+    there, with probabilities given that the word is completed.
+
+    Per option: log-probability, next node (-1 at the word's end), node number
+    plus cumulative probability, and piece id (-1 - code point for a character
+    that falls back to its bytes)."""
 
     def __init__(self, vocab: P.Pieces):
-        self.vocab = vocab
+        self.vocab, self.hashes = vocab, _Hashes(vocab)
         self.clear()
 
     def clear(self):
         self.root: dict[str, int] = {}
-        self.first, self.n = [], 0
-        self.logq, self.next, self.piece = [], [], []
-        self.cum: list[float] = []
-        self.fresh = 0
-        self.arrays = None
+        z = lambda t: np.zeros(0, t)
+        self.arrays = (np.zeros(1, np.int64), z(float), z(np.int64), z(float), z(np.int32))
+
+    @property
+    def size(self) -> int:
+        return len(self.arrays[1])
 
     def add(self, words) -> None:
-        for w in words:
-            if w not in self.root:
-                self._add(w)
-        if self.fresh != len(self.logq) or self.arrays is None:
-            first = np.array([*self.first, len(self.logq)], np.int64)
-            a = self.arrays or (None, np.zeros(0), np.zeros(0, np.int64), np.zeros(0), np.zeros(0, np.int64))
-            f = self.fresh
-            self.arrays = (first, np.concatenate([a[1], self.logq[f:]]), np.concatenate([a[2], np.array(self.next[f:], np.int64)]), np.concatenate([a[3], self.cum[f:]]), np.concatenate([a[4], np.array([len(p) for p in self.piece[f:]], np.int64)]))
-            self.fresh = len(self.logq)
-
-    def _add(self, w: str) -> None:
-        v, n = self.vocab, len(w)
-        logp, longest, exp, log = v.logp, v.longest, math.exp, math.log
-        beta = [0.0] * (n + 1)
-        rows: list = [None] * n
-        for p in range(n - 1, -1, -1):
-            opts = []
-            for e in range(p + 1, min(n, p + longest) + 1):
-                s = logp.get(w[p:e])
-                if s is None:
-                    if e > p + 1:
-                        continue
-                    s = v.floor * len(w[p].encode("utf-8", "surrogatepass"))
-                opts.append((s + beta[e], e))
-            top = max(o[0] for o in opts)
-            beta[p] = top + log(sum(exp(o[0] - top) for o in opts)) if len(opts) > 1 else top
-            rows[p] = opts
-        base = len(self.first)
-        self.root[w] = base
-        for p, opts in enumerate(rows):
-            self.first.append(len(self.logq))
-            c = 0.0
-            for s, e in opts:
-                q = s - beta[p]
-                c += exp(q)
-                self.logq.append(q)
-                self.next.append(base + e if e < n else -1)
-                self.piece.append(tuple(v.ids_of(w[p:e])))
-                self.cum.append(base + p + min(c, 1.0))
-            self.cum[-1] = base + p + 1.0
-
-
-def _uniform(key: int, *parts) -> np.ndarray:
-    h = np.array(key, np.uint64)[None]
-    for x in parts:
-        h = mix((h ^ (np.atleast_1d(np.asarray(x)).astype(np.uint64) + U(0x9E3779B97F4A7C15))) * U(0x2545F4914F6CDD1D))
+        new = [w for w in words if w not in self.root]
+        for a in range(0, len(new), 20_000):
+            self._add(new[a : a + 20_000])
+
+    def _add(self, words: list[str]) -> None:
+        v, hs = self.vocab, self.hashes
+        cp = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)
+        n = len(cp)
+        size = np.array([len(w) for w in words], np.int64)
+        end = np.repeat(np.cumsum(size), size)
+        left = end - np.arange(n)  # characters from here to the word's end
+        code, at = np.unique(cp, return_inverse=True)
+        longest = np.array([hs.starts.get(int(c), 0) for c in code], np.int64)[at]
+        width = np.array([len(chr(c).encode("utf-8", "surrogatepass")) for c in code.tolist()], np.int64)[at]
+        c = np.zeros(n + 1, np.uint64)
+        np.cumsum(mix(cp.astype(np.uint64) + U(0x51)) * powers("base", n), out=c[1:])
+        inv = powers("inv", n)
+        frm, to, lp, pid = [], [], [], []
+        most = np.minimum(longest, left)
+        for k in range(1, int(max(most.max(initial=0), 1)) + 1):
+            p = np.flatnonzero(most >= k)
+            h = mix((c[p + k] - c[p]) * inv[p] + U(k))
+            i = np.minimum(np.searchsorted(hs.hash, h), len(hs.hash) - 1)
+            ok = hs.hash[i] == h
+            frm.append(p[ok])
+            to.append(p[ok] + k)
+            lp.append(hs.logp[i[ok]])
+            pid.append(hs.id[i[ok]])
+            if k == 1:
+                bare = np.ones(n, bool)
+                bare[p[ok]] = False
+                p = np.flatnonzero(bare)
+                frm.append(p)
+                to.append(p + 1)
+                lp.append(v.floor * width[p])
+                pid.append((-1 - cp[p].astype(np.int64)).astype(np.int32))
+        frm, to, lp, pid = (np.concatenate(x) for x in (frm, to, lp, pid))
+        order = np.lexsort((to, frm, left[frm]))  # nodes by distance from the word's end
+        frm, to, lp, pid = frm[order], to[order], lp[order], pid[order]
+        beta = np.zeros(n + 1)
+        score = np.empty(len(frm))
+        cuts = np.searchsorted(left[frm], np.arange(1, int(left.max(initial=0)) + 2))
+        for a, b in zip(cuts[:-1], cuts[1:]):
+            if a == b:
+                continue
+            x = lp[a:b] + np.where(to[a:b] == end[frm[a:b]], 0.0, beta[to[a:b]])
+            f = frm[a:b]
+            st = np.flatnonzero(np.concatenate([[True], f[1:] != f[:-1]]))
+            top = np.maximum.reduceat(x, st)
+            rep = np.diff(np.append(st, b - a))
+            total = top + np.log(np.add.reduceat(np.exp(x - np.repeat(top, rep)), st))
+            beta[f[st]] = total
+            score[a:b] = x - np.repeat(total, rep)
+        order = np.lexsort((to, frm))
+        frm, to, score, pid = frm[order], to[order], score[order], pid[order]
+        first, logq, nxt, cum, piece = self.arrays
+        base, held = len(first) - 1, len(logq)
+        st = np.searchsorted(frm, np.arange(n + 1))
+        q = np.exp(score)
+        run = np.cumsum(q)
+        run -= np.repeat((run - q)[st[:-1]], np.diff(st))
+        edge = np.minimum(run, 1.0)
+        edge[st[1:] - 1] = 1.0
+        self.arrays = (
+            np.concatenate([first[:-1], held + st]), np.concatenate([logq, score]), np.concatenate([nxt, np.where(to == end[frm], -1, base + to)]),
+            np.concatenate([cum, base + frm + edge]), np.concatenate([piece, pid]),
+        )
+        self.root.update(zip(words, (base + np.cumsum(size) - size).tolist()))
+
+
+def _uniform(key: int, tag: int, place) -> np.ndarray:
+    """Uniform numbers in (0, 1) for places of a row, by hash."""
+    seed = mix(np.array([key], np.uint64) ^ U(tag * 0x9E3779B97F4A7C15 % 2**64))
+    h = mix(np.atleast_1d(place).astype(np.uint64) * U(0x2545F4914F6CDD1D) + seed)
     return (h >> U(11)).astype(np.float64) * 2.0**-53 + 2.0**-54
 
 
@@ -131,7 +188,7 @@ def _draw(lat: Lattices, roots: np.ndarray, key: int, j: int, value: float, head
         if nxt[option] >= 0:
             word, node, step = np.append(w0, word), np.append(nxt[option], node), np.append(head.step[at] + 1, step)
     while len(word):
-        u = _uniform(key, j, word, step)
+        u = _uniform(key, 2 * j + 1, (word << 24) + step)
         o = np.searchsorted(cum, node + u, "left")
         o = np.minimum(np.maximum(o, first[node]), first[node + 1] - 1)
         words.append(word)
@@ -143,8 +200,16 @@ def _draw(lat: Lattices, roots: np.ndarray, key: int, j: int, value: float, head
     p = _Path()
     cat = lambda xs: np.concatenate(xs) if xs else np.zeros(0, np.int64)
     w, s, nd, op = cat(words), cat(steps), cat(nodes), cat(opts)
-    order = np.lexsort((s, w))
-    p.word, p.step, p.node, p.option = w[order], s[order], nd[order], op[order]
+    # a word's choices stand together, by step: each goes to its place at once
+    each = np.bincount(w, minlength=len(roots)) if len(w) else np.zeros(len(roots), np.int64)
+    lead = np.cumsum(each) - each
+    if head is not None and len(w) and nxt[option] >= 0:
+        lead[head.word[at]] -= head.step[at] + 1
+    place = lead[w] + s
+    for f, x in (("word", w), ("step", s), ("node", nd), ("option", op)):
+        a = np.empty_like(x)
+        a[place] = x
+        setattr(p, f, a)
     if head is not None:
         for f in ("word", "step", "node", "option"):
             a = getattr(head, f)[: at + 1].copy()
@@ -162,26 +227,33 @@ def sample(lat: Lattices, words: list[str], k: int, key: int) -> list[tuple[_Pat
     most, by falling perturbed value.  ``words`` must be in the lattices."""
     first, logq, _, _, _ = lat.arrays
     roots = np.array([lat.root[w] for w in words], np.int64)
-    value = float(-np.log(-np.log(_uniform(key, 0xA5, 0)[0])))
+    value = float(-np.log(-np.log(_uniform(key, 0, 0)[0])))
     queue: list = []
     out: list[_Path] = []
     path, since = _draw(lat, roots, key, 0, value, None, 0, 0), 0
     while True:
         out.append(path)
-        node, op = path.node[since:], path.option[since:]
-        n = first[node + 1] - first[node]
-        many = np.flatnonzero(n > 1)
-        if len(many):
-            n = n[many]
-            rep = np.repeat(many, n)
-            o = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + first[node[rep]]
-            off = o != op[rep]
-            rep, o = rep[off], o[off]
-            mu = path.before[since + rep] + logq[o]
-            g = _below(mu, path.value, _uniform(key, 0x5A, len(out), path.word[since + rep], path.step[since + rep], o - first[node[rep]]))
-            most = min(len(g), k + 1 - len(out)) if len(out) <= k else 0
-            for x in np.argpartition(-g, most - 1)[:most] if most else ():
-                heapq.heappush(queue, (-float(g[x]), len(out), int(x), path, since + int(rep[x]), int(o[x])))
+        want, at = k + 1 - len(out), since
+        while want > 0 and at < len(path.node):
+            # log-probabilities only fall along the text, so far choices can't reach the best ones kept
+            if at > since and len(queue) >= want and path.before[at] + REACH < -heapq.nsmallest(want, queue)[-1][0]:
+                break
+            stop = min(len(path.node), at + FIRST)
+            node, op = path.node[at:stop], path.option[at:stop]
+            n = first[node + 1] - first[node]
+            many = np.flatnonzero(n > 1)
+            if len(many):
+                n = n[many]
+                rep = np.repeat(many, n)
+                o = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + first[node[rep]]
+                off = o != op[rep]
+                rep, o = rep[off] + at, o[off]
+                mu = path.before[rep] + logq[o]
+                g = _below(mu, path.value, _uniform(key, 2 * len(out) + 2, (((path.word[rep] << 24) + path.step[rep]) << 6) + o - first[path.node[rep]]))
+                most = min(len(g), want)
+                for x in np.argpartition(-g, most - 1)[:most]:
+                    heapq.heappush(queue, (-float(g[x]), len(out), int(rep[x]) * 64 + int(o[x] - first[path.node[rep[x]]]), path, int(rep[x]), int(o[x])))
+            at = stop
         if not queue or len(out) == k:
             kappa = -queue[0][0] if queue else -math.inf
             break
@@ -190,9 +262,15 @@ def sample(lat: Lattices, words: list[str], k: int, key: int) -> list[tuple[_Pat
     return [(p, p.total, 1.0 if kappa == -math.inf else float(-np.expm1(-np.exp(min(p.total - kappa, 700.0))))) for p in out]
 
 
-def piece_ids(lat: Lattices, path: _Path) -> list[int]:
-    piece = lat.piece
-    return [i for o in path.option.tolist() for i in piece[o]]
+def piece_ids(lat: Lattices, path: _Path) -> np.ndarray:
+    """Ids of a path, characters without a piece as their bytes."""
+    ids = lat.arrays[4][path.option]
+    if (ids >= 0).all():
+        return ids
+    out: list[int] = []
+    for i in ids.tolist():
+        out += [i] if i >= 0 else [lat.vocab.bytes[b] for b in chr(-1 - i).encode("utf-8", "surrogatepass")]
+    return np.array(out, np.int32)
 
 
 _local: dict[str, Lattices] = {}
@@ -213,16 +291,17 @@ def encode(docs: DataFrame, vocab_path: str, k: int = SAMPLES, seed: int = 0, ke
             ids, texts = batch.column(0), batch.column(1)
             for a in range(0, batch.num_rows, 256):
                 split = [P.words_of(t or "") for t in texts.slice(a, 256).to_pylist()]
-                if len(lat.logq) > MOST_OPTIONS:
+                if lat.size > MOST_OPTIONS:
                     lat.clear()
                 lat.add(set().union(*split))
                 rows = []
                 for d, ws in zip(ids.slice(a, 256).to_pylist(), split):
                     key = zlib.crc32(str(d).encode()) << 32 | (seed & 0xFFFFFFFF)
+                    plain = " ".join(w[1:] for w in ws)
                     for j, (p, lp, inc) in enumerate(sample(lat, ws, k, key)):
                         got = piece_ids(lat, p)
-                        row = {"doc_id": d, "sample": j, "n_pieces": len(got), "log_prob": lp, "perturbed": p.value, "inclusion": inc, "round_trip": vocab.decode(got) == " ".join(w[1:] for w in ws), "ids_crc32": zlib.crc32(np.array(got, "<u4").tobytes())}
-                        rows.append(row | {"ids": got} if keep_ids else row)
+                        row = {"doc_id": d, "sample": j, "n_pieces": len(got), "log_prob": lp, "perturbed": p.value, "inclusion": inc, "round_trip": vocab.decode(got.tolist()) == plain, "ids_crc32": zlib.crc32(got.astype("<u4").tobytes())}
+                        rows.append(row | {"ids": got.tolist()} if keep_ids else row)
                 yield pa.RecordBatch.from_pylist(rows, schema=schema)
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(work, ddl)
