@@ -13,6 +13,7 @@ table gives an empty store.
 from __future__ import annotations
 
 import zlib
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -127,15 +128,42 @@ def _tokenizer(path: str):
     return Tokenizer.from_file(path)
 
 
-_seen: dict[str, tuple[dict[bytes, bytes], dict[bytes, bytes]]] = {}
 CACHE_HALVES, CACHE_CHUNKS = 700_000, 500_000
 TAIL = b".,!?;:|#$%&*()-"  # ASCII marks that never join letters before them in one piece
 
 
-def _halves(chunk: bytes) -> tuple[bytes, bytes]:
-    """A chunk as letters and the marks behind them, if it is of that form."""
-    base = chunk.rstrip(TAIL)
-    return (base, chunk[len(base) :]) if base and len(base) < len(chunk) and base.decode().isalpha() else (chunk, b"")
+class _Chunks(dict):
+    """Ids, as little-endian uint32, of blank-free lower-cased chunks; what is
+    missing goes through the library.  A chunk of letters and marks behind them
+    is put together from its halves, which are kept apart."""
+
+    def __init__(self, path: str):
+        super().__init__()
+        self.tok, self.halves = _tokenizer(path), {}
+
+    def _half(self, part: bytes) -> bytes:
+        got = self.halves.get(part)
+        if got is None:
+            got = self.halves[part] = array("I", self.tok.encode(part.decode(), add_special_tokens=False).ids).tobytes()
+        return got
+
+    def __missing__(self, chunk: bytes) -> bytes:
+        base = chunk.rstrip(TAIL)
+        if base and len(base) < len(chunk) and base.decode().isalpha():
+            got = self._half(base) + self._half(chunk[len(base) :])
+        else:
+            got = self._half(chunk)
+        self[chunk] = got
+        return got
+
+    def trim(self) -> None:
+        if len(self) > CACHE_CHUNKS:
+            self.clear()
+        if len(self.halves) > CACHE_HALVES:
+            self.halves.clear()
+
+
+_seen: dict[str, _Chunks] = {}
 
 
 def encode_texts(texts: list[bytes], path: str, end_id: int) -> list[bytes]:
@@ -147,25 +175,13 @@ def encode_texts(texts: list[bytes], path: str, end_id: int) -> list[bytes]:
     per worker while the bounded caches hold it.  Texts that name a special
     token are encoded whole.
     """
-    tok, (cache, whole) = _tokenizer(path), _seen.setdefault(path, ({}, {}))
-    end = int(end_id).to_bytes(4, "little")
-    chunks = [t.lower().split() if b"<|" not in t else None for t in texts]
-    here = set().union(*(cs for cs in chunks if cs is not None))
-    if len(whole) + len(here) > CACHE_CHUNKS:
-        whole.clear()
-    parts = {c: _halves(c) for c in here if c not in whole}
-    new = [h for h in {h for pair in parts.values() for h in pair} if h not in cache]
-    if len(cache) + len(new) > CACHE_HALVES:
-        cache.clear()
-        new = list({h for pair in parts.values() for h in pair})
-    for k in range(0, len(new), 8192):
-        some = new[k : k + 8192]
-        for c, e in zip(some, tok.encode_batch_fast([c.decode() for c in some], add_special_tokens=False)):
-            cache[c] = np.array(e.ids, "<u4").tobytes()
-    for c, (a, b) in parts.items():
-        whole[c] = cache[a] + cache[b] if b else cache[a]
-    get = whole.__getitem__
-    return [(b"".join(map(get, cs)) if cs is not None else np.array(tok.encode(t.decode(), add_special_tokens=False).ids, "<u4").tobytes()) + end for t, cs in zip(texts, chunks)]
+    if path not in _seen:
+        _seen[path] = _Chunks(path)
+    cache = _seen[path]
+    cache.trim()
+    end, get = int(end_id).to_bytes(4, "little"), cache.__getitem__
+    whole = lambda t: np.array(cache.tok.encode(t.decode(), add_special_tokens=False).ids, "<u4").tobytes()
+    return [(b"".join(map(get, t.lower().split())) if b"<|" not in t else whole(t)) + end for t in texts]
 
 
 def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2, shards: int | None = None) -> None:
