@@ -138,7 +138,7 @@ class Lattices:
             total = top + np.log(np.add.reduceat(np.exp(x - np.repeat(top, rep)), st))
             beta[f[st]] = total
             score[a:b] = x - np.repeat(total, rep)
-        order = np.lexsort((to, frm))
+        order = np.lexsort((to, -score, frm))  # likely options first, so that a draw finds its own soon
         frm, to, score, pid = frm[order], to[order], score[order], pid[order]
         first, logq, nxt, cum, piece = self.arrays
         base, held = len(first) - 1, len(logq)
@@ -189,8 +189,11 @@ def _draw(lat: Lattices, roots: np.ndarray, key: int, j: int, value: float, head
             word, node, step = np.append(w0, word), np.append(nxt[option], node), np.append(head.step[at] + 1, step)
     while len(word):
         u = _uniform(key, 2 * j + 1, (word << 24) + step)
-        o = np.searchsorted(cum, node + u, "left")
-        o = np.minimum(np.maximum(o, first[node]), first[node + 1] - 1)
+        o, goal = first[node], node + u
+        far = np.flatnonzero(cum[o] < goal)
+        while len(far):
+            o[far] += 1
+            far = far[cum[o[far]] < goal[far]]
         words.append(word)
         steps.append(step)
         nodes.append(node)
@@ -294,14 +297,15 @@ def encode(docs: DataFrame, vocab_path: str, k: int = SAMPLES, seed: int = 0, ke
                 if lat.size > MOST_OPTIONS:
                     lat.clear()
                 lat.add(set().union(*split))
-                rows = []
+                cols: dict[str, list] = {f.name: [] for f in schema}
                 for d, ws in zip(ids.slice(a, 256).to_pylist(), split):
                     key = zlib.crc32(str(d).encode()) << 32 | (seed & 0xFFFFFFFF)
                     plain = " ".join(w[1:] for w in ws)
                     for j, (p, lp, inc) in enumerate(sample(lat, ws, k, key)):
                         got = piece_ids(lat, p)
-                        row = {"doc_id": d, "sample": j, "n_pieces": len(got), "log_prob": lp, "perturbed": p.value, "inclusion": inc, "round_trip": vocab.decode(got.tolist()) == plain, "ids_crc32": zlib.crc32(got.astype("<u4").tobytes())}
-                        rows.append(row | {"ids": got.tolist()} if keep_ids else row)
-                yield pa.RecordBatch.from_pylist(rows, schema=schema)
+                        row = (d, j, len(got), lp, p.value, inc, vocab.decode(got.tolist()) == plain, zlib.crc32(got.astype("<u4").tobytes()), got)
+                        for name, v in zip(cols, row):
+                            cols[name].append(v)
+                yield pa.RecordBatch.from_pydict(cols, schema=schema)
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(work, ddl)
