@@ -12,6 +12,7 @@ from ..operators import metrics as M
 from ..operators import netops as N
 from ..operators import pyramid as PY
 from ..operators import segments as SG
+from ..session import materialise
 from .graphs import FULL, PX, RIM_SQL, SIX, edges_of, full, pixels, seg_sql, tiny
 from .partitions import NOISY, TINY, gc_sql, tiny_graph
 from .registry import query
@@ -320,20 +321,20 @@ def merge_split_errors(spark, sf):
 
 def cascade_pred(spark, sf, k=16, **kw):
     """Cascade labels with class and score of every segment."""
-    px = pixels(spark, sf, k)
-    e = edges_of(full(spark, sf), NOISY).select("scene_id", "u", "v", "aff")
-    lab = PY.partition_pyramid(px.select("scene_id", "pixel", "sem", "emb"), e, 32, k, **kw)
+    px = materialise(pixels(spark, sf, k).select("scene_id", "pixel", "sem", "emb"), "workload")
+    e = materialise(edges_of(full(spark, sf), NOISY).select("scene_id", "u", "v", "aff"), "workload")
+    lab = materialise(PY.partition_pyramid(px, e, 32, k, **kw), "workload")
     j = lab.join(px.select("scene_id", "pixel", "sem"), ["scene_id", "pixel"])
     cl = SG.classify(j, e, 9)
-    return lab.join(cl, ["scene_id", "label"]).select("scene_id", "pixel", "label", "cls", "score")
+    return materialise(lab.join(cl, ["scene_id", "label"]).select("scene_id", "pixel", "label", "cls", "score"), "workload")
 
 
 def truth(spark, sf):
-    return full(spark, sf).select("scene_id", "pixel", F.col("inst_no").cast("bigint").alias("label"), "cls", "depth")
+    return materialise(full(spark, sf).select("scene_id", "pixel", F.col("inst_no").cast("bigint").alias("label"), "cls", "depth"), "workload")
 
 
 def _ap_row(pred, gt, **tag):
-    a = M.average_precision(pred, gt).agg(F.avg("value").alias("ap"), F.avg(F.when(F.col("tau") == 0.5, F.col("value"))).alias("ap50"))
+    a = materialise(M.average_precision(pred, gt).agg(F.avg("value").alias("ap"), F.avg(F.when(F.col("tau") == 0.5, F.col("value"))).alias("ap50")), "workload")
     return a.select(*[F.lit(v).alias(k) for k, v in tag.items()], "ap", "ap50")
 
 
