@@ -62,18 +62,17 @@ def marginal_bytes(token: str, before: str, after: str, identifiers: str = IDENT
 
 
 def novel_spans(text: str, novelty: float = NOVELTY) -> list[tuple[int, int, str]]:
-    """Incompressible tokens within REACH characters behind a sensitive word."""
+    """Incompressible tokens that begin within REACH characters behind a sensitive word."""
     out, done = [], 0
     for m in SENSITIVE_RE.finditer(text):
-        c = CANDIDATE.search(text, max(done, m.end() - 1), m.end() + REACH + 16)
-        if not c:
-            continue
-        s = c.start()
-        e = CANDIDATE.match(text, s).end()
-        done = e
-        tok = text[s:e]
-        if any(x.isdigit() for x in tok) and any(x.isalpha() for x in tok) and marginal_bytes(tok, text[max(0, s - AROUND) : s], text[e : e + AROUND]) >= novelty * len(tok):
-            out.append((s, e, "novel"))
+        last = m.end() + REACH
+        while c := CANDIDATE.search(text, max(done, m.end() - 1), last + 16):
+            s = c.start()
+            e = CANDIDATE.match(text, s).end()
+            done = e
+            tok = text[s:e]
+            if any(x.isdigit() for x in tok) and any(x.isalpha() for x in tok) and marginal_bytes(tok, text[max(0, s - AROUND) : s], text[e : e + AROUND]) >= novelty * len(tok):
+                out.append((s, e, "novel"))
     return out
 
 

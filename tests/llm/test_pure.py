@@ -70,6 +70,16 @@ def test_secret_spans():
     assert secret_scan.redact(None, []) is None
 
 
+def test_every_candidate_behind_a_sensitive_word_is_measured():
+    value = "Zk3vQ9xLm2RtY7wPb8Nc4JdH1sGf5aQe"
+    for t in (f'client_secret_for_production_env = "{value}"', f'api_key_for_billing_service: "{value}"', f"auth: first_plain_identifier second_plain_identifier {value}"):
+        a, b, kind = secret_scan.all_spans(t)[1][-1]
+        assert (t[a:b], kind) == (value, "novel")
+    both = secret_scan.all_spans(f"auth: {value} {value[::-1]}")[1]
+    assert [k for _, _, k in both] == ["novel", "novel"]
+    assert secret_scan.novel_spans("auth: " + "plain words " * 6 + value) == []
+
+
 def test_fingerprints_follow_content_not_offset():
     rng = np.random.default_rng(5)
     text = "".join(rng.choice(list("abcdefgh "), 4000))
