@@ -46,7 +46,7 @@ def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def sampled_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return sp_sampling.encode(docs, tokenizer_path(PIECES)).select("doc_id", "sample", "n_pieces", "log_prob", "inclusion", "ids")
+    return sp_sampling.encode(docs, tokenizer_path(PIECES), whole=True).select("doc_id", "sample", "n_pieces", "log_prob", "inclusion", "ids")
 
 
 STAGES = [("quality", quality_filter), ("near_duplicates", near_duplicates), ("decontamination", decontamination), ("secrets", secrets), ("sampled_pieces", sampled_pieces)]

@@ -32,7 +32,7 @@ def op3_decontamination(spark, sf_dir):
 
 def op4_token_counts(spark, sf_dir):
     prepare(spark)
-    return token_counts.digest(table(spark, sf_dir, "documents"), tokenizer_path(PIECES))
+    return token_counts.digest(table(spark, sf_dir, "documents"), tokenizer_path(PIECES), whole=True)
 
 
 def op5_fingerprints(spark, sf_dir):
@@ -52,7 +52,7 @@ def op7_quality(spark, sf_dir):
 
 def op8_sampled_pieces(spark, sf_dir):
     prepare(spark)
-    return sp_sampling.encode(table(spark, sf_dir, "documents"), tokenizer_path(PIECES), keep_ids=False)
+    return sp_sampling.encode(table(spark, sf_dir, "documents"), tokenizer_path(PIECES), keep_ids=False, whole=True)
 
 
 def op9_token_store(spark, sf_dir):

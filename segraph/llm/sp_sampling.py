@@ -1,6 +1,7 @@
 """Sampled SentencePiece encodings without replacement, and decoding.
 
-The lattice of a text is the product of its words' lattices.  A tree search
+The lattice of a text is the product of its words' lattices, or with ``whole``
+of those of its units, which are words, blank runs, newlines and tabs.  A tree search
 over choices (next piece) perturbs total log-probabilities with Gumbel noise
 from the root down: the root's value is a Gumbel variable; of a node's
 children one inherits the node's value, the others get Gumbel variables
@@ -279,10 +280,10 @@ def piece_ids(lat: Lattices, path: _Path) -> np.ndarray:
 _local: dict[str, Lattices] = {}
 
 
-def encode(docs: DataFrame, vocab_path: str, k: int = SAMPLES, seed: int = 0, keep_ids: bool = True) -> DataFrame:
+def encode(docs: DataFrame, vocab_path: str, k: int = SAMPLES, seed: int = 0, keep_ids: bool = True, whole: bool = False) -> DataFrame:
     """k rows per document at most: doc_id, sample, n_pieces, log_prob,
-    perturbed, inclusion, round_trip (decoding gives back the words), the crc32
-    of the ids and, unless keep_ids is off, the ids."""
+    perturbed, inclusion, round_trip (decoding gives back the words, or the text
+    itself if whole), the crc32 of the ids and, unless keep_ids is off, the ids."""
     prepare(docs.sparkSession)
     ddl = "doc_id bigint, sample int, n_pieces bigint, log_prob double, perturbed double, inclusion double, round_trip boolean, ids_crc32 bigint" + (", ids array<int>" if keep_ids else "")
     schema = arrow_schema(ddl)
@@ -293,14 +294,15 @@ def encode(docs: DataFrame, vocab_path: str, k: int = SAMPLES, seed: int = 0, ke
         for batch in it:
             ids, texts = batch.column(0), batch.column(1)
             for a in range(0, batch.num_rows, 256):
-                split = [P.words_of(t or "") for t in texts.slice(a, 256).to_pylist()]
+                given = [t or "" for t in texts.slice(a, 256).to_pylist()]
+                split = [P.units_of(t) if whole else P.words_of(t) for t in given]
                 if lat.size > MOST_OPTIONS:
                     lat.clear()
                 lat.add(set().union(*split))
                 cols: dict[str, list] = {f.name: [] for f in schema}
-                for d, ws in zip(ids.slice(a, 256).to_pylist(), split):
+                for d, t, ws in zip(ids.slice(a, 256).to_pylist(), given, split):
                     key = zlib.crc32(str(d).encode()) << 32 | (seed & 0xFFFFFFFF)
-                    plain = " ".join(w[1:] for w in ws)
+                    plain = t if whole else " ".join(w[1:] for w in ws)
                     for j, (p, lp, inc) in enumerate(sample(lat, ws, k, key)):
                         got = piece_ids(lat, p)
                         row = (d, j, len(got), lp, p.value, inc, vocab.decode(got.tolist()) == plain, zlib.crc32(got.astype("<u4").tobytes()), got)

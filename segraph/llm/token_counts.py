@@ -6,6 +6,7 @@ summed probability of all segmentations) and the best segmentation's score and
 length.  A prefix shared with the pre-token before is not computed again.
 Terminal values go to a bounded table that the worker's later texts reuse.
 
+White space has tokens too if ``whole`` is set; else the words alone count.
 Null and empty texts have no tokens.  Of equally good segmentations the one
 whose last piece is longest counts.  Extra columns are ignored; repeated rows
 count each.
@@ -67,10 +68,11 @@ def count_sorted(words: list[str], vocab: P.Pieces) -> list[tuple[int, float]]:
 _known: dict[str, dict[str, tuple[int, float]]] = {}
 
 
-def count_texts(texts: list[str], vocab_path: str) -> list[tuple[int, int, float]]:
-    """(words, tokens, forward log score) of each text."""
+def count_texts(texts: list[str], vocab_path: str, whole: bool = False) -> list[tuple[int, int, float]]:
+    """(words, tokens, forward log score) of each text, or of its words unless whole."""
     vocab, known = P.load(vocab_path), _known.setdefault(vocab_path, {})
-    split = [P.words_of(t) for t in texts]
+    words = [P.words_of(t) for t in texts]
+    split = [P.units_of(t) for t in texts] if whole else words
     here = set().union(*split) if split else set()
     if len(known) + len(here) > KEPT:
         known.clear()
@@ -78,14 +80,14 @@ def count_texts(texts: list[str], vocab_path: str) -> list[tuple[int, int, float
     known.update(zip(new, count_sorted(new, vocab)))
     get = known.__getitem__
     out = []
-    for ws in split:
-        got = list(map(get, ws))
+    for ws, us in zip(words, split):
+        got = list(map(get, us))
         out.append((len(ws), sum(c for c, _ in got), math.fsum(f for _, f in got)))
     return out
 
 
-def digest(docs: DataFrame, vocab_path: str) -> DataFrame:
-    """doc_id, words, tokens and forward log score of every whole text."""
+def digest(docs: DataFrame, vocab_path: str, whole: bool = False) -> DataFrame:
+    """doc_id, words, tokens and forward log score of every text."""
     prepare(docs.sparkSession)
     schema = arrow_schema(OUT_DDL)
 
@@ -93,7 +95,7 @@ def digest(docs: DataFrame, vocab_path: str) -> DataFrame:
         for batch in it:
             ids, texts = batch.column(0), batch.column(1)
             for a in range(0, batch.num_rows, 1024):
-                got = count_texts([t or "" for t in texts.slice(a, 1024).to_pylist()], vocab_path)
+                got = count_texts([t or "" for t in texts.slice(a, 1024).to_pylist()], vocab_path, whole)
                 yield pa.RecordBatch.from_arrays([ids.slice(a, 1024), *[pa.array(c, f.type) for c, f in zip(zip(*got), list(schema)[1:])]], schema=schema)
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(work, OUT_DDL)

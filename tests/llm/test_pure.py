@@ -161,6 +161,26 @@ def test_decode_gives_back_the_words():
         assert v.decode(sp_sampling.piece_ids(lat, p)) == "Übergänge 日本 \U0001f600 x y"
 
 
+def test_white_space_is_encoded_and_decoded():
+    path = tokenizer_path(PIECES)
+    v = pieces.load(path)
+    lat = sp_sampling.Lattices(v)
+    for text in ("a b\tc", "a\nb", "\n\n  x", "  a   b ", "a\r\n\x0bb\x0c", " ", "\n", "end\n\t\t" + " " * 40 + "日本 \U0001f600\n"):
+        us = pieces.units_of(text)
+        lat.add(us)
+        for p, _, _ in sp_sampling.sample(lat, us, 3, 11):
+            assert v.decode(sp_sampling.piece_ids(lat, p).tolist()) == text
+        n_words, n, f = token_counts.count_texts([text], path, whole=True)[0]
+        assert n_words == len(text.split()) and n > 0 and f < 0
+    mark = "▁"
+    for text in ("a b\nc", "  a\t", " \n a"):
+        segs = brute_segmentations(mark + text.replace(" ", mark), v)
+        n, f = token_counts.count_texts([text], path, whole=True)[0][1:]
+        assert f == pytest.approx(math.log(sum(math.exp(lp) for _, lp in segs)))
+        best = max(lp for _, lp in segs)
+        assert n in {sum(1 if p in v.logp else len(p.encode()) for p in s) for s, lp in segs if lp > best - 1e-9}
+
+
 def test_minhash_estimates():
     rng = np.random.default_rng(2)
     base = rng.integers(0, 2**63, 400, dtype=np.uint64)
