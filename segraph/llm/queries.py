@@ -52,7 +52,7 @@ def op7_quality(spark, sf_dir):
 
 def op8_sampled_pieces(spark, sf_dir):
     prepare(spark)
-    return sp_sampling.encode(table(spark, sf_dir, "documents"), tokenizer_path(PIECES), keep_ids=False, whole=True)
+    return sp_sampling.encode(table(spark, sf_dir, "documents"), tokenizer_path(PIECES), whole=True)
 
 
 def op9_token_store(spark, sf_dir):

@@ -160,6 +160,17 @@ def test_sampling(docs, none):
         assert len(set(ids)) == len(ids) > 1
 
 
+def test_sampling_query_returns_ids_of_the_whole_text(spark):
+    from segraph.llm import pieces, queries
+
+    sf = "/root/testdata/sf0.001"
+    texts = {r["doc_id"]: r["text"] or "" for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()}
+    v = pieces.load(tokenizer_path(PIECES))
+    got = queries.op8_sampled_pieces(spark, sf).collect()
+    assert {r["doc_id"] for r in got} == set(texts)
+    assert all(r["round_trip"] and v.decode(r["ids"]) == texts[r["doc_id"]] and len(r["ids"]) == r["n_pieces"] for r in got)
+
+
 def test_token_store(docs, none):
     from tokenizers import Tokenizer
 
