@@ -54,15 +54,69 @@ EVENT_SQL = """ev AS (SELECT user_id,event_id,event_type,ts,lag(event_id) OVER w
 event_edges AS (SELECT user_id,u,event_id AS v,(epoch_us(ts)-epoch_us(pts))/1e6::DOUBLE AS gap_s,pow(2.0::DOUBLE,-((epoch_us(ts)-epoch_us(pts))/1e6::DOUBLE)/3600/24)*(CASE WHEN pt=event_type THEN 1.0::DOUBLE ELSE 0.25::DOUBLE END) AS aff FROM ev WHERE u IS NOT NULL)"""
 
 
-def embedding_edges(spark, sf: str, k: int = 64, near: int = 10) -> DataFrame:
-    """Each vector's nearest by Gaussian affinity.  The vectors compared are the
-    first 500 ids against all (a stated query set), 500 at every scale here."""
-    from ..operators.affinity import phi
-
-    e = table(spark, sf, "embeddings").select(F.col("vec_id"), F.slice("embedding", 1, k).cast("array<double>").alias("e"))
-    q = e.where("vec_id < 500").toDF("q", "qe")
+def nearest(e: DataFrame, near: int, block: int = 8192) -> DataFrame:
+    """q, vec_id, f: the ``near`` others of every vector by Gaussian affinity,
+    ties by id; e has vec_id and e, an array of floats.  Vectors are dealt to
+    blocks, and every pair of blocks is one group of 2 * block vectors at most
+    on average; of equal vectors in a block only the near + 1 smallest ids can
+    be somebody's nearest, so the others stand aside as neighbours there."""
+    import numpy as np
+    import pyarrow as pa
+
+    from ..operators.affinity import LN2
+
+    n = max(1, -(-e.count() // block))
+
+    def one_way(q, qi, c, ci):
+        kind, order = np.unique(c, axis=0, return_inverse=True)[1].ravel(), np.argsort(ci)
+        order = order[np.argsort(kind[order], kind="stable")]
+        start = np.flatnonzero(np.concatenate([[True], np.diff(kind[order]) != 0]))
+        rank = np.arange(len(order)) - np.repeat(start, np.diff(np.append(start, len(order))))
+        keep = order[rank <= near]
+        c, ci = c[keep], ci[keep]
+        cc, out = (c * c).sum(1), []
+        for a in range(0, len(q), 256):
+            x, xi = q[a : a + 256], qi[a : a + 256]
+            d = (x * x).sum(1)[:, None] + cc - 2 * x @ c.T
+            d[xi[:, None] == ci] = np.inf
+            most = np.partition(d, near - 1, axis=1)[:, near - 1] if near < len(c) else np.full(len(x), np.inf)
+            i, j = np.nonzero((d <= most[:, None] + 1e-9 * (1 + cc.max())) & (d < np.inf))
+            exact = np.zeros(len(i))
+            for t in range(c.shape[1]):  # term by term, as the column expression sums
+                exact += (x[i, t] - c[j, t]) ** 2
+            o = np.lexsort((ci[j], exact, i))
+            i, j, exact = i[o], j[o], exact[o]
+            first = np.searchsorted(i, np.arange(len(x)))
+            o = np.arange(len(i)) - first[i] < near
+            out.append((xi[i[o]], ci[j[o]], exact[o]))
+        return out
+
+    def work(t: pa.Table) -> pa.Table:
+        pair = t.column("pair")[0].as_py()
+        ids, blk = t.column("vec_id").to_numpy(), t.column("blk").to_numpy()
+        col = t.column("e").combine_chunks()
+        v = col.flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1).astype(np.float64)
+        l, r = blk == pair // n, blk == pair % n
+        got = []
+        for x, y in [(l, r)] if pair // n == pair % n else [(l, r), (r, l)]:
+            if x.any() and y.any():
+                got += one_way(v[x], ids[x], v[y], ids[y])
+        q, c, d = (np.concatenate(z) for z in zip(*got)) if got else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+        return pa.table({"q": q, "vec_id": c, "d": d})
+
+    b = e.withColumn("blk", F.pmod(F.xxhash64("vec_id"), F.lit(n)))
+    o = b.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long"))))
+    o = o.select((F.least("blk", "other") * n + F.greatest("blk", "other")).alias("pair"), "blk", "vec_id", "e")
+    top = o.groupBy("pair").applyInArrow(work, "q bigint, vec_id bigint, d double").select("q", "vec_id", F.exp(-LN2 * F.col("d")).alias("f"))
     w = Window.partitionBy("q").orderBy(F.col("f").desc(), "vec_id")
-    top = e.join(F.broadcast(q), F.col("vec_id") != F.col("q")).select("q", "vec_id", phi("e", "qe").alias("f")).withColumn("rn", F.row_number().over(w)).where(F.col("rn") <= near)
+    return top.withColumn("rn", F.row_number().over(w)).where(F.col("rn") <= near).drop("rn")
+
+
+def embedding_edges(spark, sf: str, k: int = 64, near: int = 10, block: int = 8192) -> DataFrame:
+    """Each vector's nearest by Gaussian affinity, over the whole table.  The SQL
+    twin asks for the first 500 ids only, which is all there is up to sf0.01."""
+    e = table(spark, sf, "embeddings").where("vec_id is not null and embedding is not null").select(F.col("vec_id").cast("long").alias("vec_id"), F.slice("embedding", 1, k).alias("e"))
+    top = nearest(e, near, block)
     return top.select(F.lit(0).cast("bigint").alias("scene_id"), F.least("q", "vec_id").alias("u"), F.greatest("q", "vec_id").alias("v"), F.col("f").alias("aff")).groupBy("scene_id", "u", "v").agg(F.max("aff").alias("aff"))
 
 

@@ -141,3 +141,19 @@ def test_pooled_affinity_is_the_mean_of_two():
     right = np.array([[0.1, 0.6, 0.2, np.nan], [0.3, 0.8, 0.4, np.nan]])
     r, _ = pooled_affinities(right, np.full((2, 4), np.nan))
     assert r[0, 0] == pytest.approx(0.7)
+
+
+def test_every_embedding_is_a_query(spark, tmp_path):
+    import numpy as np
+
+    from segraph.fixtures.graphs import embedding_edges
+
+    v = np.random.default_rng(4).normal(size=(700, 8)).astype("f4")
+    v[620:660] = v[10]  # copies: ties by id
+    spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id bigint, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    d = ((v[:, None].astype(float) - v[None]) ** 2).sum(2)
+    np.fill_diagonal(d, np.inf)
+    want = {(min(i, int(j)), max(i, int(j))) for i in range(700) for j in np.lexsort((np.arange(700), d[i]))[:10]}
+    got = embedding_edges(spark, str(tmp_path), k=8, block=200).collect()
+    assert {(r["u"], r["v"]) for r in got} == want and len(got) == len(want)
+    assert all(abs(r["aff"] - 2.0 ** -d[r["u"], r["v"]]) < 1e-9 for r in got)
