@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ..session import table
+from ..session import materialise, table
 from .scenes import hash_sql, unit_hash
 
 # Hand-made graphs (graph, u, v, affinity).
@@ -125,17 +125,27 @@ nb AS (SELECT q.vec_id AS q,a.vec_id,exp(-ln(2)*list_sum(list_transform(list_zip
 emb_edges AS (SELECT 0::BIGINT AS scene_id,least(q,vec_id) AS u,greatest(q,vec_id) AS v,max(f) AS aff FROM (SELECT *,row_number() OVER (PARTITION BY q ORDER BY f DESC,vec_id) AS rn FROM nb) WHERE rn<=10 GROUP BY 2,3)"""
 
 
-def document_edges(spark, sf: str, lowest: int = 2, highest: int = 60) -> DataFrame:
-    """Documents that share word 3-grams found in lowest..highest documents;
-    affinity is shared kept grams over all grams of both."""
+def document_edges(spark, sf: str, above: float = 0.5) -> DataFrame:
+    """Documents whose distinct word 3-grams have more than ``above`` of their
+    union in common, by 64-bit gram hashes; no gram is too frequent to count.
+    Of documents with equal grams the smallest id stands for all and gets an edge
+    to each.  Two others above the bound share a gram among each one's rarest
+    n - ceil(above * n) + 1, so these make the candidates; all grams confirm."""
     d = table(spark, sf, "documents").select("doc_id", F.split(F.lower("text"), r"\s+").alias("w"))
     n = F.size("w")
-    g = d.where(n >= 3).select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), n - 2), lambda i: F.array_join(F.slice("w", i, 3), " ")))).alias("g"))
-    total = g.groupBy("doc_id").agg(F.count("*").alias("n"))
-    kept = g.join(g.groupBy("g").agg(F.count("*").alias("c")).where(F.col("c").between(lowest, highest)), "g").select("g", "doc_id")
-    shared = kept.toDF("g", "u").join(kept.toDF("g", "v"), "g").where("u < v").groupBy("u", "v").agg(F.count("*").alias("shared"))
-    j = shared.join(total.toDF("u", "nu"), "u").join(total.toDF("v", "nv"), "v")
-    return j.select(F.lit(0).cast("bigint").alias("scene_id"), "u", "v", "shared", (F.col("shared") / (F.col("nu") + F.col("nv") - F.col("shared"))).alias("aff"))
+    g = d.where(n >= 3).select("doc_id", F.array_sort(F.array_distinct(F.transform(F.sequence(F.lit(1), n - 2), lambda i: F.xxhash64(F.array_join(F.slice("w", i, 3), " "))))).alias("gs"))
+    g = materialise(g, "doc-all").withColumns({"n": F.size("gs"), "same": F.sha2(F.array_join(F.col("gs").cast("array<string>"), ","), 256)})
+    first = g.groupBy("same").agg(F.min("doc_id").alias("u"), F.first("n").alias("shared"))
+    copies = g.select("same", F.col("doc_id").alias("v")).join(first, "same").where("u < v").select("u", "v", F.col("shared").cast("long").alias("shared"), F.lit(1.0).alias("aff")).distinct()
+    one = materialise(g.join(first.select("same", F.col("u").alias("doc_id")), ["same", "doc_id"], "left_semi").dropDuplicates(["doc_id", "same"]).select("doc_id", "n", "gs"), "doc-grams")
+    flat = one.select("doc_id", "n", F.explode("gs").alias("g"))
+    often = flat.groupBy("g").agg(F.count("*").alias("c"))
+    w = Window.partitionBy("doc_id").orderBy("c", "g")
+    rare = flat.join(often, "g").withColumn("rn", F.row_number().over(w)).where((F.col("rn") <= F.col("n") - F.ceil(above * F.col("n")) + 1) & (F.col("c") > 1)).select("g", "doc_id", "n")
+    pair = rare.toDF("g", "u", "nu").join(rare.toDF("g", "v", "nv"), "g").where((F.col("u") < F.col("v")) & (F.least("nu", "nv") > above * F.greatest("nu", "nv"))).select("u", "v").distinct()
+    j = pair.join(one.toDF("u", "nu", "gu"), "u").join(one.toDF("v", "nv", "gv"), "v").withColumn("shared", F.size(F.array_intersect("gu", "gv")).cast("long"))
+    near = j.select("u", "v", "shared", (F.col("shared") / (F.col("nu") + F.col("nv") - F.col("shared"))).alias("aff")).where(F.col("aff") > above)
+    return materialise(copies.union(near).select(F.lit(0).cast("bigint").alias("scene_id"), "u", "v", "shared", "aff"), "doc-edges")
 
 
 DOC_SQL = """dw AS (SELECT doc_id,regexp_split_to_array(lower(text),'\\s+') AS w FROM documents),

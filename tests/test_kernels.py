@@ -157,3 +157,13 @@ def test_every_embedding_is_a_query(spark, tmp_path):
     got = embedding_edges(spark, str(tmp_path), k=8, block=200).collect()
     assert {(r["u"], r["v"]) for r in got} == want and len(got) == len(want)
     assert all(abs(r["aff"] - 2.0 ** -d[r["u"], r["v"]]) < 1e-9 for r in got)
+
+
+def test_large_groups_of_documents_stay_in_the_partition(spark, tmp_path):
+    from segraph.plans import partitions
+
+    base = " ".join(f"w{i}" for i in range(40))
+    texts = [base] * 70 + [f"{base} tail{i}" for i in range(70)] + [" ".join(f"x{i}y{j}" for j in range(20)) for i in range(5)] + ["a b", "", None]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = partitions.docs_partition(spark, str(tmp_path)).collect()
+    assert sorted((r["node"], r["label"]) for r in got) == [(i, 0) for i in range(140)]
