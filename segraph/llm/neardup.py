@@ -3,28 +3,31 @@
 1. One pass reads every text once: word shingles, K minima under K
    multiply-shift orders, their low B bits packed as signature, BANDS keys over
    the full minima, and two keys of the whole word sequence.
-2. Texts of one word sequence are one class; only a representative goes on.
-3. Bands with more than one member give candidates.  Round one links each
-   member to the smallest id that any of its bands holds.  For the members of
-   bands that still hold several components, shingles that no other member has
-   are counted: two members share at most the smaller of their remaining
-   numbers, which rules most pairs out exactly.  Round two links to the member
-   with the fewest shingles of its own.  Any pair still open has an end outside
-   the band's largest component; those strangers, LEADERS of them a round (all,
-   if SMALL or fewer), are compared with all members that the bound leaves.  A
-   stranger that led is done.  No pair of a band is left out.
-4. The collision-corrected similarity of two signatures discards pairs that are
+2. Texts of one word sequence are one class, numbered on writing; only classes go on.
+3. Bands with more than one class give candidates, in three steps that are
+   linear in the band's size, or bounded by what documents truly share:
+   each class against the band's head; each class of a band that still holds
+   several components against the band's hub, the class whose shingles are most
+   frequent among the rest; and each class outside its band's largest component
+   (a stranger) against all classes that a prefix filter leaves.
+4. The prefix filter is exact.  All shingles of the remaining classes are put in one
+   order, rare ones first.  If two classes reach the threshold, and the first
+   shingle they share stands at places i and j of their lists, then neither
+   n_a - i nor n_b - j is below the overlap that the threshold asks of sizes n_a and
+   n_b.  So a stranger meets only classes that share one of its rarest shingles.
+   No pair of a band is left out, and none is capped.
+5. The collision-corrected similarity of two signatures discards pairs that are
    SLACK standard errors below the threshold; the rest is confirmed on the full
    shingle sets.
-5. Components by pointer jumping and smallest-label exchange, in written tables.
+6. Components by pointer jumping and smallest-label exchange, in written tables.
 
 With K=128 in 32 bands of 4, a pair of similarity 0.8 shares no band with
 probability 5e-8.
 
 Null and empty texts have no shingles and stand alone.  Rows with a null id
-stand alone with component null.  Repeated ids count as one document of the
-smallest text.  Extra columns pass through ``clusters`` untouched; the result of an
-empty table is empty.
+stand alone with component null.  Rows of a repeated id are told apart by their
+texts: each is linked by its own text, and equal rows get equal results.  Extra
+columns don't reach the result; the result of an empty table is empty.
 """
 
 from __future__ import annotations
@@ -35,12 +38,13 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from .shared import arrow_schema, materialise, prepare
+from .shared import Scratch, arrow_schema, prepare
 from .textvec import Words, column_bytes, slices
 
 K, BANDS, BITS = 128, 32, 8
-SMALL, LEADERS, SLACK = 256, 128, 6.0
+SLACK = 6.0
 _rng = np.random.Generator(np.random.PCG64(7))
 ORDERS = _rng.integers(1, 2**63, K, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 PASS_DDL = "doc_id bigint, n_shingles bigint, k1 bigint, k2 bigint, bands array<bigint>, sig binary"
@@ -99,7 +103,7 @@ def similarity(a: bytes, b: bytes) -> float:
     return max(0.0, (same - c) / (1 - c))
 
 
-def _confirmed(pairs: DataFrame, texts: DataFrame, size: int, num: int, den: int) -> DataFrame:
+def _confirmed(pairs: DataFrame, texts: DataFrame, size: int, num: int, den: int, scratch: Scratch) -> DataFrame:
     """Those pairs (a, b) whose signatures don't rule them out and whose full
     sets meet den * intersection >= num * union."""
     t = num / den
@@ -114,7 +118,7 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, size: int, num: int, den: int
             yield pa.RecordBatch.from_arrays([keep.column(0), keep.column(1)], names=["a", "b"])
 
     sigs = texts.select("rep", "sig")
-    est = pairs.join(sigs.toDF("a", "sa"), "a").join(sigs.toDF("b", "sb"), "b").select("a", "b", "sa", "sb").mapInArrow(near, "a bigint, b bigint")
+    est = scratch.write(pairs).join(sigs.toDF("a", "sa"), "a").join(sigs.toDF("b", "sb"), "b").select("a", "b", "sa", "sb").mapInArrow(near, "a bigint, b bigint")
     body = texts.select("rep", "text")
     both = est.join(body.toDF("a", "ta"), "a").join(body.toDF("b", "tb"), "b").select("a", "b", "ta", "tb")
 
@@ -134,25 +138,25 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, size: int, num: int, den: int
                 done += part.num_rows
             yield pa.RecordBatch.from_pydict({"a": [a[i] for i in keep], "b": [b[i] for i in keep]}, schema=arrow_schema("a bigint, b bigint"))
 
-    return both.mapInArrow(exact, "a bigint, b bigint")
+    return scratch.write(both.mapInArrow(exact, "a bigint, b bigint"))
 
 
-def components(links: DataFrame, name: str = "components") -> DataFrame:
+def components(links: DataFrame, scratch: Scratch) -> DataFrame:
     """(rep, comp): the smallest id reachable from each end of the links.
 
     Alternates two steps on a written edge table until it is a star forest:
     every node hands the smallest neighbour to its larger neighbours, then to
     its smaller ones.  Each step is one aggregation and one join by node.
     """
-    e = materialise(links.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), name)
+    e = scratch.write(links.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
     while True:
         # larger neighbours to the smallest of node and neighbours
         both = e.union(e.select("v", "u")).toDF("u", "v")
-        low = materialise(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")), name)  # written, so that a hot node's join can be split
-        e1 = materialise(both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct(), name)
+        low = scratch.write(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")))  # written, so that a hot node's join can be split
+        e1 = scratch.write(both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
         # smaller neighbours and the node itself to the smallest of them
         low = e1.groupBy("u").agg(F.min("v").alias("m"))
-        e2 = materialise(e1.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low).where("u <> v").distinct(), name)
+        e2 = scratch.write(e1.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low).where("u <> v").distinct())
         heads = e2.select("v").distinct()
         n = e2.groupBy("u").agg(F.count("*").alias("n")).where("n > 1").limit(1).count() or e2.select("u").join(heads, F.col("u") == heads["v"], "left_semi").limit(1).count()
         e = e2
@@ -166,62 +170,72 @@ def clusters(docs: DataFrame, size: int = 5, threshold: tuple[int, int] = (80, 1
     spark = docs.sparkSession
     prepare(spark)
     num, den = threshold
+    scratch = Scratch(spark, "near")
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    seen = materialise(signatures(src, size), "near-signatures")
+    seen = scratch.write(signatures(src, size))
     live = seen.where("n_shingles > 0 and doc_id is not null")
-    classes = materialise(live.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep")), "near-classes")
-    reps = live.select("doc_id", "bands").join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
-    band = reps.select(F.col("doc_id").alias("rep"), F.explode("bands").alias("key"))
-    held = materialise(band.groupBy("key").agg(F.min("rep").alias("head"), F.max("rep").alias("tail")).where("head <> tail").select("key", "head"), "near-heads")
-    band = materialise(band.join(held, "key"), "near-bands")
-    involved = band.select("rep").distinct()
-    texts = materialise(
-        src.join(involved, src["doc_id"] == involved["rep"], "left_semi").groupBy(F.col("doc_id").alias("rep")).agg(F.min("text").alias("text")).join(live.groupBy(F.col("doc_id").alias("rep")).agg(F.min("sig").alias("sig"), F.min("n_shingles").alias("n")), "rep"),
-        "near-texts",
-    )
-    first = band.where("rep <> head").groupBy(F.col("rep").alias("a")).agg(F.min("head").alias("b"))
-    links = materialise(_confirmed(first, texts, size, num, den), "near-links")
-    comp = components(links)
-    led, turn, sizes = None, 0, None
-    while True:
-        now = materialise(band.select("key", "rep").join(comp, "rep", "left").select("key", "rep", F.coalesce("comp", "rep").alias("comp")), "near-now")
-        by_comp = now.groupBy("key", "comp").agg(F.count("*").alias("n"))
-        mixed = by_comp.groupBy("key").agg(F.max(F.struct("n", "comp")).alias("main"), F.count("*").alias("comps")).where("comps > 1").select("key", F.col("main.comp").alias("main"))
-        left = now.join(mixed, "key")
-        if sizes is None:
-            left = materialise(left, "near-left")
-            sizes = materialise(_sizes(texts, left.select("rep").distinct(), size), "near-sizes")
-        left = materialise(left.join(sizes, "rep"), "near-left")
-        if turn == 0:
-            # the member with the fewest shingles of its own stands nearest to all others
-            leaders = left.groupBy("key").agg(F.min(F.struct("u", "rep", "n", "comp")).alias("x")).select("key", F.col("x.rep").alias("b"), F.col("x.comp").alias("cb"), F.col("x.n").alias("nb"), F.col("x.u").alias("ub"))
-        else:
-            strangers = left.where("comp <> main").select("key", "rep", "comp", "n", "u")
-            if led is not None:
-                strangers = strangers.join(led, ["key", "rep"], "left_anti")
-            rest = strangers.groupBy("key").agg(F.count("*").alias("rest"))
-            share = F.ceil(F.col("rest") / LEADERS)
-            leaders = strangers.join(rest, "key").where((F.col("rest") <= SMALL) | (F.pmod(F.xxhash64("rep", F.lit(turn)), share) == 0)).select("key", F.col("rep").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("u").alias("ub"))
-        leaders = materialise(leaders, "near-leaders")
-        if leaders.limit(1).count() == 0 and (turn == 0 or strangers.limit(1).count() == 0):
-            break
-        most = F.least(F.col("n") - F.col("u"), F.col("nb") - F.col("ub"))
-        can = (F.lit(den) * most >= F.lit(num) * (F.col("n") + F.col("nb") - most)) & (F.col("comp") != F.col("cb"))
-        pairs = left.join(leaders.withColumnRenamed("key", "_k"), (F.col("key") == F.col("_k")) & can).select(F.greatest("rep", "b").alias("a"), F.least("rep", "b").alias("b")).distinct()
-        found = materialise(_confirmed(materialise(pairs, "near-pairs"), texts, size, num, den), "near-links")
-        if turn:
-            own = leaders.select("key", F.col("b").alias("rep"))
-            led = materialise(own if led is None else led.union(own), "near-led")
-        comp = _joined(comp, found)
-        turn += 1
-    known = classes.join(comp, "rep", "left").select("k1", "k2", F.coalesce("comp", "rep").alias("component"))
-    known = materialise(known, "near-result")
-    return seen.select("doc_id", "n_shingles", "k1", "k2").join(known, ["k1", "k2"], "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
-
-
-def _sizes(texts: DataFrame, members: DataFrame, size: int) -> DataFrame:
-    """(rep, n, u): distinct shingles of each member, and how many of them no
-    other member has.  Two members share at most the smaller n - u."""
+    classes = scratch.write(live.groupBy("k1", "k2").agg(F.min("doc_id").alias("head")).withColumn("rep", F.monotonically_increasing_id()))
+    # equal rows of an id meet in one class: any of them will do
+    own = live.join(classes, ["k1", "k2"]).where("doc_id = head").dropDuplicates(["k1", "k2"])
+    reps = scratch.write(own.select("rep", "head", "k1", "k2", F.col("n_shingles").alias("n"), "sig", "bands"))
+    band = reps.select("rep", F.explode("bands").alias("key"))
+    held = scratch.write(band.groupBy("key").agg(F.min("rep").alias("first"), F.max("rep").alias("last")).where("first <> last").select("key", "first"))
+    band = scratch.write(band.join(held, "key"))
+    texts = scratch.write(_texts(src, reps.join(band.select("rep").distinct(), "rep", "left_semi")))
+    pairs = band.where("rep <> first").select(F.col("rep").alias("a"), F.col("first").alias("b")).distinct()
+    comp = components(_confirmed(pairs, texts, size, num, den, scratch), scratch)
+    left = _mixed(band, comp, scratch)
+    if left.limit(1).count():
+        spread = scratch.write(_prefixes(texts.join(left.select("rep").distinct(), "rep", "left_semi"), size, num, den, scratch))
+        # the class whose shingles are most frequent stands nearest to all others
+        mean = spread.groupBy("rep").agg(F.avg("mean").alias("mean"))
+        hub = left.join(mean, "rep", "left").groupBy("key").agg(F.max(F.struct(F.coalesce("mean", F.lit(0.0)), "rep", "comp")).alias("x")).select("key", F.col("x.rep").alias("hub"), F.col("x.comp").alias("hub_comp"))
+        pairs = left.join(hub, "key").where("comp <> hub_comp").select(F.greatest("rep", "hub").alias("a"), F.least("rep", "hub").alias("b")).distinct()
+        comp = _joined(comp, _confirmed(pairs, texts, size, num, den, scratch), scratch)
+        left = _mixed(band, comp, scratch)
+        strangers = scratch.write(left.where("comp <> main").select("rep").distinct())
+        place = scratch.write(spread.where("pos is not null").join(comp, "rep", "left").select("rep", "h", "n", "pos", F.coalesce("comp", "rep").alias("comp")))
+        a = place.join(strangers, "rep", "left_semi").toDF("a", "h", "na", "pa", "ca")
+        b = place.toDF("b", "h", "nb", "pb", "cb")
+        # the overlap that both sizes ask for must fit behind the shared shingle's places
+        fits = F.lit(num + den) * F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) >= F.lit(num) * (F.col("na") + F.col("nb"))
+        pairs = a.join(b, (a["h"] == b["h"]) & fits & (F.col("ca") != F.col("cb"))).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+        comp = _joined(comp, _confirmed(pairs, texts, size, num, den, scratch), scratch)
+    member = classes.join(comp, "rep", "left").select("k1", "k2", "head", F.coalesce("comp", "rep").alias("comp"))
+    least = member.groupBy("comp").agg(F.min("head").alias("component"))
+    known = scratch.write(member.join(least, "comp").select("k1", "k2", "component"))
+    scratch.clear(seen, known)
+    return seen.select("doc_id", "n_shingles", "k1", "k2").join(known, ["k1", "k2"], "left").select("doc_id", "n_shingles", F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
+
+
+def _texts(src: DataFrame, reps: DataFrame) -> DataFrame:
+    """rep, text, sig and n of the given classes.  Texts are found by their
+    class's id and told apart by their own keys, as ids may repeat."""
+
+    def work(it):
+        for batch in it:
+            for part in slices(batch, "text", 2 << 20):
+                k1, k2 = Words(*column_bytes(part.column(1))).sequence_keys()
+                yield pa.RecordBatch.from_arrays([part.column(1), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64))], names=["text", "k1", "k2"])
+
+    mine = src.join(reps.select(F.col("head").alias("doc_id")).distinct(), "doc_id", "left_semi").select("doc_id", "text")
+    keyed = mine.mapInArrow(work, "text string, k1 bigint, k2 bigint")
+    return keyed.join(reps.select("rep", "sig", "n", "k1", "k2"), ["k1", "k2"]).dropDuplicates(["k1", "k2"]).select("rep", "text", "sig", "n")
+
+
+def _mixed(band: DataFrame, comp: DataFrame, scratch: Scratch) -> DataFrame:
+    """key, rep, comp and main (the largest component) of bands that hold several components."""
+    now = scratch.write(band.select("key", "rep").join(comp, "rep", "left").select("key", "rep", F.coalesce("comp", "rep").alias("comp")))
+    by_comp = now.groupBy("key", "comp").agg(F.count("*").alias("n"))
+    mixed = by_comp.groupBy("key").agg(F.max(F.struct("n", "comp")).alias("main"), F.count("*").alias("comps")).where("comps > 1").select("key", F.col("main.comp").alias("main"))
+    return scratch.write(now.join(mixed, "key"))
+
+
+def _prefixes(texts: DataFrame, size: int, num: int, den: int, scratch: Scratch) -> DataFrame:
+    """rep, h, n, pos: the places of a class's shared shingles, rare ones first,
+    as far as they can be the first that two linked classes share; and mean, the
+    mean frequency of its shingles.  Shingles of one class alone come before all
+    others and take part in no pair, so they are only counted."""
     schema = arrow_schema("rep bigint, h bigint")
 
     def work(it):
@@ -232,20 +246,24 @@ def _sizes(texts: DataFrame, members: DataFrame, size: int) -> DataFrame:
                 rep = np.repeat(part.column(0).to_numpy(), [len(e) for e in each])
                 yield pa.RecordBatch.from_arrays([pa.array(rep), pa.array(np.concatenate(each).view(np.int64))], schema=schema)
 
-    mine = texts.join(members, "rep", "left_semi").select("rep", "text", "n")
-    single = mine.select("rep", "text").mapInArrow(work, "rep bigint, h bigint").groupBy("h").agg(F.count("*").alias("c"), F.min("rep").alias("rep")).where("c = 1").groupBy("rep").agg(F.count("*").alias("u"))
-    return mine.select("rep", "n").join(single, "rep", "left").select("rep", "n", F.coalesce("u", F.lit(0)).alias("u"))
+    every = scratch.write(texts.select("rep", "text").mapInArrow(work, "rep bigint, h bigint"))
+    often = every.groupBy("h").agg(F.count("*").alias("c")).where("c > 1")
+    shared = every.join(often, "h").join(texts.select("rep", "n"), "rep")
+    by_rep = Window.partitionBy("rep")
+    placed = shared.select("rep", "h", "n", (F.col("n") - F.count("*").over(by_rep) + F.row_number().over(by_rep.orderBy("c", "h")) - 1).alias("pos"), ((F.sum("c").over(by_rep) + F.col("n") - F.count("*").over(by_rep)) / F.col("n")).alias("mean"), F.row_number().over(by_rep.orderBy("c", "h")).alias("i"))
+    can = F.lit(den) * (F.col("n") - F.col("pos")) >= F.lit(num) * F.col("n")
+    return placed.where(can | (F.col("i") == 1)).select("rep", "h", "n", F.when(can, F.col("pos")).alias("pos"), "mean")
 
 
-def _joined(comp: DataFrame, found: DataFrame) -> DataFrame:
+def _joined(comp: DataFrame, found: DataFrame, scratch: Scratch) -> DataFrame:
     """Components after more links: those of the graph of components, composed."""
     if found.limit(1).count() == 0:
         return comp
     to = lambda df, c: df.join(comp.toDF(c, "_c"), c, "left").withColumn(c, F.coalesce("_c", c)).drop("_c")
-    up = components(to(to(found, "a"), "b")).toDF("comp", "_up")
+    up = components(to(to(found, "a"), "b"), scratch).toDF("comp", "_up")
     moved = comp.join(up, "comp", "left").select("rep", F.coalesce("_up", "comp").alias("comp"))
     fresh = up.select(F.col("comp").alias("rep"), F.col("_up").alias("comp"))
-    return materialise(moved.union(fresh).groupBy("rep").agg(F.min("comp").alias("comp")), "near-components")
+    return scratch.write(moved.union(fresh).groupBy("rep").agg(F.min("comp").alias("comp")))
 
 
 def digest(docs: DataFrame, size: int = 4) -> DataFrame:

@@ -21,17 +21,49 @@ def prepare(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a local one only where none is set, as in tests."""
-    return (spark.conf.get("spark.checkpoint.dir", "") or "file:///tmp/checkpoints").rstrip("/")
+    """The cluster's shared folder; a local one only where none is set and the master is local, as in tests."""
+    set_ = spark.conf.get("spark.checkpoint.dir", "")
+    if not set_ and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+    return (set_ or "file:///tmp/checkpoints").rstrip("/")
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:
     """Writes df once to the shared folder and reads it back: lineage ends here
     and a lost executor costs no more than a re-read."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/segraph/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return Scratch(df.sparkSession, name).write(df)
+
+
+class Scratch:
+    """Written tables of one call, which are deleted when it needs them no more."""
+
+    def __init__(self, spark: SparkSession, name: str):
+        self.spark, self.name, self.paths = spark, name, {}
+
+    def write(self, df: DataFrame) -> DataFrame:
+        path = f"{shared_dir(self.spark)}/segraph/{self.name}-{uuid.uuid4().hex}"
+        df.write.parquet(path)
+        out = self.spark.read.schema(df.schema).parquet(path)
+        self.paths[path] = out
+        return out
+
+    def clear(self, *kept: DataFrame) -> None:
+        """Deletes all tables but those."""
+        jvm, conf = self.spark._jvm, self.spark._jsc.hadoopConfiguration()
+        for path in [p for p, df in self.paths.items() if not any(df is k for k in kept)]:
+            at = jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(conf).delete(at, True)
+            del self.paths[path]
+
+
+def free_names(columns, *names: str) -> list[str]:
+    """Those names, with underscores behind them as far as columns already have them."""
+    out = []
+    for n in names:
+        while n.lower() in {c.lower() for c in columns}:
+            n += "_"
+        out.append(n)
+    return out
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
