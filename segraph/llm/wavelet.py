@@ -12,6 +12,7 @@ table gives an empty store.
 
 from __future__ import annotations
 
+import unicodedata
 import zlib
 from array import array
 from functools import lru_cache
@@ -132,6 +133,12 @@ CACHE_HALVES, CACHE_CHUNKS = 700_000, 500_000
 TAIL = b".,!?;:|#$%&*()-"  # ASCII marks that never join letters before them in one piece
 
 
+def _plain(text: str) -> bool:
+    """Whether these are letters that normalising and lower-casing leave alone:
+    others may end in a combining mark, which joins the marks behind it."""
+    return text.isalpha() and text.lower() == text and unicodedata.is_normalized("NFC", text)
+
+
 class _Chunks(dict):
     """Ids, as little-endian uint32, of blank-free lower-cased chunks; what is
     missing goes through the library.  A chunk of letters and marks behind them
@@ -149,7 +156,7 @@ class _Chunks(dict):
 
     def __missing__(self, chunk: bytes) -> bytes:
         base = chunk.rstrip(TAIL)
-        if base and len(base) < len(chunk) and base.decode().isalpha():
+        if base and len(base) < len(chunk) and _plain(base.decode()):
             got = self._half(base) + self._half(chunk[len(base) :])
         else:
             got = self._half(chunk)
