@@ -11,7 +11,9 @@ decontamination   drops documents that hold a benchmark window
 secrets           masks every secret and updates n_chars; keeps all rows
 sampled_pieces    doc_id, sample, n_pieces, log_prob, inclusion, ids
 
-Null texts count as empty, and an empty table passes through all stages.
+Null texts count as empty, and an empty table passes through all stages.  The
+first four stages hand every column on as it came, whatever its name, but for text and
+n_chars of documents with secrets.
 """
 
 from __future__ import annotations
@@ -21,14 +23,15 @@ from pyspark.sql import functions as F
 
 from segraph.llm import decontam, neardup, quality, secret_scan, sp_sampling
 from segraph.llm.queries import PIECES, tokenizer_path
-from segraph.llm.shared import materialise, prepare, table
+from segraph.llm.shared import free_names, materialise, prepare, table
 
 QUALITY = 0.5
 
 
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = quality.fit(docs, table(spark, sf_dir, "labels"))
-    return quality.score(docs, model).where(F.col("quality_score") >= QUALITY).select(*docs.columns)
+    _, score = free_names(docs.columns, *quality.RESULTS)
+    return quality.score(docs, model).where(F.col(score) >= QUALITY).select(*docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,12 +40,14 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return decontam.mark(docs, table(spark, sf_dir, "benchmark")).where(F.size("hit_from") == 0).select(*docs.columns)
+    _, hit_from, _, _ = free_names(docs.columns, *decontam.RESULTS)
+    return decontam.mark(docs, table(spark, sf_dir, "benchmark")).where(F.size(hit_from) == 0).select(*docs.columns)
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    (count,) = free_names(docs.columns, "n_masked")
     masked = secret_scan.mask(docs)
-    return masked.withColumn("n_chars", F.when(F.col("n_masked") > 0, F.char_length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
+    return masked.withColumn("n_chars", F.when(F.col(count) > 0, F.char_length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
 
 
 def sampled_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

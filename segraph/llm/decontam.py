@@ -7,7 +7,8 @@ block and every hit is mapped back to words and byte offsets of the original.
 
 Null text has no words.  An empty benchmark hits nothing.  Items whose text is
 null or without words have no window.  Repeated windows report all their items.
-Extra columns pass through ``mark`` untouched.
+Repeated rows get equal results, an empty table no row.  Extra columns pass through ``mark``
+untouched; where one has the name of a result, the result's name gets an underscore behind it.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import arrow_schema, prepare
+from .shared import arrow_schema, free_names, prepare
 
 WINDOW = 10
 BLOCK_WINDOWS = 200_000
@@ -101,7 +102,7 @@ def mark(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_wind
     that carry their hits along, so no block needs a shuffle."""
     spark = docs.sparkSession
     prepare(spark)
-    own = [f.name for f in HITS_FIELDS]
+    own = free_names(docs.columns, *RESULTS)
     out = docs
     first = True
     for block in itertools.chain(_blocks(benchmark, window, block_windows), [None]):
@@ -113,22 +114,22 @@ def mark(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_wind
 
 
 HITS_FIELDS = list(arrow_schema(HITS_DDL))
+RESULTS = tuple(f.name for f in HITS_FIELDS)
 
 
 def _pass(docs: DataFrame, block, first: bool, own: list[str]) -> DataFrame:
     from pyspark.sql import types as T
 
-    kinds = {"n_words": T.LongType(), "hit_from": T.ArrayType(T.IntegerType()), "hit_to": T.ArrayType(T.IntegerType()), "items": T.ArrayType(T.StringType())}
-    base = docs.drop(*own) if first else docs
-    schema = T.StructType([f for f in base.schema.fields if f.name not in own] + [T.StructField(n, kinds[n]) for n in own])
+    kinds = (T.LongType(), T.ArrayType(T.IntegerType()), T.ArrayType(T.IntegerType()), T.ArrayType(T.StringType()))
+    schema = T.StructType([f for f in docs.schema.fields if f.name not in own] + [T.StructField(n, k) for n, k in zip(own, kinds)])
 
     def work(it):
         for batch in it:
             auto = _automaton(block)
             names = batch.schema.names
             texts = batch.column(names.index("text")).cast(pa.binary())
-            cols = {n: [] for n in own}
-            old = None if first else {n: batch.column(names.index(n)).to_pylist() for n in own}
+            cols = {n: [] for n in RESULTS}
+            old = None if first else {r: batch.column(names.index(n)).to_pylist() for r, n in zip(RESULTS, own)}
             for i, t in enumerate(x for a in range(0, len(texts), 256) for x in texts.slice(a, 256).to_pylist()):
                 n, hit, items = scan(t or b"", auto)
                 if old and old["hit_from"][i]:
@@ -137,12 +138,12 @@ def _pass(docs: DataFrame, block, first: bool, own: list[str]) -> DataFrame:
                         hit[f:e] = True
                     items |= set(old["items"][i])
                 f, e = runs(hit) if len(hit) else ([], [])
-                for name, v in zip(own, (n, f, e, sorted(items))):
+                for name, v in zip(RESULTS, (n, f, e, sorted(items))):
                     cols[name].append(v)
             keep = [i for i, n in enumerate(names) if n not in own]
             yield pa.RecordBatch.from_arrays([batch.column(i) for i in keep] + [pa.array(cols[f.name], f.type) for f in HITS_FIELDS], names=[names[i] for i in keep] + own)
 
-    return base.mapInArrow(work, schema)
+    return docs.mapInArrow(work, schema)
 
 
 def original_spans(text: str, hit_from: list[int], hit_to: list[int]) -> list[tuple[int, int]]:

@@ -8,12 +8,15 @@ character tell how much of it neither the surroundings nor the identifiers
 explain.  Tokens above ``novelty`` become spans of kind ``novel``.
 
 Null text is empty and has no spans.  Ties do not arise: a base span wins over
-a novel one that it overlaps.  Extra columns pass through ``find`` untouched.
+a novel one that it overlaps.  Repeated rows get equal results, an empty table no row.  Extra columns pass through ``find`` and
+``mask`` untouched; where one has the name of a result, the result's name gets an underscore behind it.
 """
 
 from __future__ import annotations
 
+import bisect
 import hashlib
+import itertools
 import re
 
 import pyarrow as pa
@@ -22,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .shared import prepare
+from .shared import free_names, prepare
 
 KINDS = ("assign", "access", "hex", "novel")
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -80,7 +83,9 @@ def all_spans(text: str, novelty: float = NOVELTY) -> tuple[list, list]:
     """Base spans, and base and novel spans together, by start and then kind."""
     order = {k: i for i, k in enumerate(KINDS)}
     base = base_spans(text)
-    more = [x for x in novel_spans(text, novelty) if not any(x[0] < b[1] and b[0] < x[1] for b in base)]
+    starts = sorted(b[0] for b in base)
+    reach = list(itertools.accumulate((b[1] for b in sorted(base)), max))  # how far the spans up to here go
+    more = [x for x in novel_spans(text, novelty) if not (i := bisect.bisect_left(starts, x[1])) or reach[i - 1] <= x[0]]
     key = lambda x: (x[0], order[x[2]], x[1])
     return sorted(base, key=key), sorted(base + more, key=key)
 
@@ -93,8 +98,7 @@ def find(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
     """docs and columns base_spans, spans: arrays of struct(start, end, kind)."""
     prepare(docs.sparkSession)
     kind = T.ArrayType(T.StructType([T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType()), T.StructField("kind", T.StringType())]))
-    own = ["base_spans", "spans"]
-    keep = [f for f in docs.schema.fields if f.name not in own]
+    own = free_names(docs.columns, "base_spans", "spans")
     arrow = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("kind", pa.string())]))
 
     def work(it):
@@ -104,7 +108,7 @@ def find(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
             cols = [pa.array([[{"start": s, "end": e, "kind": k} for s, e, k in g[i]] for g in got], arrow) for i in (0, 1)]
             yield pa.RecordBatch.from_arrays([*batch.columns, *cols], names=[*batch.schema.names, *own])
 
-    return docs.select(*[f.name for f in keep]).mapInArrow(work, T.StructType([*keep, *[T.StructField(n, kind) for n in own]]))
+    return docs.mapInArrow(work, T.StructType([*docs.schema.fields, *[T.StructField(n, kind) for n in own]]))
 
 
 def redact(text: str | None, spans, word: str = "[SECRET]") -> str | None:
@@ -125,7 +129,7 @@ def redact(text: str | None, spans, word: str = "[SECRET]") -> str | None:
 def mask(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
     """docs with every span replaced by ``[SECRET]``, and n_masked, the number of spans."""
     prepare(docs.sparkSession)
-    keep = [f for f in docs.schema.fields if f.name != "n_masked"]
+    (count,) = free_names(docs.columns, "n_masked")
 
     def work(it):
         for batch in it:
@@ -138,9 +142,9 @@ def mask(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
                     n.append(len(spans))
             cols = list(batch.columns)
             cols[at] = pa.array(texts, pa.string())
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(n, pa.int32())], names=[*batch.schema.names, "n_masked"])
+            yield pa.RecordBatch.from_arrays([*cols, pa.array(n, pa.int32())], names=[*batch.schema.names, count])
 
-    return docs.select(*[f.name for f in keep]).mapInArrow(work, T.StructType([*keep, T.StructField("n_masked", T.IntegerType())]))
+    return docs.mapInArrow(work, T.StructType([*docs.schema.fields, T.StructField(count, T.IntegerType())]))
 
 
 def digest(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
