@@ -6,7 +6,7 @@ import math
 import numpy as np
 import pytest
 
-from segraph.llm import decontam, fingerprint, neardup, pieces, quality, secret_scan, sp_sampling, token_counts, toxicity
+from segraph.llm import decontam, fingerprint, lmscore, neardup, pieces, quality, secret_scan, sp_sampling, token_counts, toxicity, wavelet
 from segraph.llm.queries import PIECES, WORD_TOKENIZER, tokenizer_path
 from segraph.llm.textvec import Words
 from segraph.llm.wavelet import WaveletMatrix, encode_texts
@@ -204,6 +204,101 @@ def test_marginals_against_enumeration():
     assert got[:5] == pytest.approx(good / total) and got[5] == pytest.approx(1 / (1 + math.exp(-0.4)))
 
 
+def chain_scores(logit, pair):
+    for y in itertools.product((0, 1), repeat=len(logit)):
+        yield y, sum(x * v for x, v in zip(logit, y)) + sum(pair[a, b] for a, b in zip(y, y[1:]))
+
+
+def test_chain_with_free_pairs_against_enumeration():
+    rng = np.random.default_rng(8)
+    logit, pair = rng.normal(size=6), rng.normal(size=(2, 2))
+    every = list(chain_scores(logit, pair))
+    total = sum(math.exp(s) for _, s in every)
+    p, edges, z = quality.forward_backward(np.append(logit, 0.3), np.array([0, 6, 7]), pair)
+    assert z[0] == pytest.approx(math.log(total)) and z[1] == pytest.approx(math.log(1 + math.exp(0.3)))
+    for t in range(6):
+        assert p[t] == pytest.approx(sum(math.exp(s) for y, s in every if y[t]) / total)
+        if t < 5:
+            want = [[sum(math.exp(s) for y, s in every if y[t : t + 2] == (a, b)) / total for b in (0, 1)] for a in (0, 1)]
+            assert edges[t] == pytest.approx(np.array(want))
+    assert quality.marginals(np.append(logit, 0.3), np.array([0, 6, 7]), pair) == pytest.approx(p)
+
+
+def test_training_finds_the_pairs_of_a_planted_chain():
+    rng = np.random.default_rng(2)
+    of = np.arange(0, 4001, 10)
+    label = (np.arange(400) % 2).astype(int)
+    x = np.repeat(label, 10)[:, None] * 2.0 - 1 + rng.normal(size=(4000, 1)) * 1.5
+    w, pair = quality.train_chain(x, of, label, np.ones(400))
+    assert w[0] > 0 and pair[0, 0] + pair[1, 1] > pair[0, 1] + pair[1, 0] + 1  # neighbours agree, and it was learnt
+    p = quality.marginals(x @ w[:-1] + w[-1], of, pair)
+    assert ((p.reshape(400, 10).mean(1) > 0.5) == label).mean() > 0.98
+
+
+def tiny_model():
+    rng = np.random.default_rng(3)
+    rank = rng.integers(3, 6, 400)
+    of = np.arange(0, 401, 8)
+    rank[of[1:] - 1] = lmscore.END
+    code, size = lmscore.huffman([5.0, 20.0, 60.0, 1.0, 1.0, 1.0])
+    e = lmscore.Events(rank, of, code, size)
+    ones, zeros = np.zeros(lmscore.ORDERS << 14, np.float32), np.zeros(lmscore.ORDERS << 14, np.float32)
+    for s in e.slots(14):
+        ones += np.bincount(s, e.bit, len(ones)).astype(np.float32)
+        zeros += np.bincount(s, ~e.bit, len(ones)).astype(np.float32)
+    none = np.zeros(len(lmscore.SPELL_ORDERS) << lmscore.SPELL_BITS, np.float32)
+    m = lmscore.Model(14, code, size, ones, zeros, none, none.copy())
+    m.weights += rng.normal(size=m.weights.shape).astype(np.float32) * 0.1
+    return m, rank, of
+
+
+def test_next_token_probabilities_sum_to_one():
+    m, rank, _ = tiny_model()
+    assert (2.0 ** -m.size.astype(float)).sum() == pytest.approx(1)
+    for start in ([], [3], [3, 4, 3, 4, 3], [5, 5, 5, 2, 3]):
+        total = 0.0
+        for k in range(6):  # all ranks that a code of six classes has
+            for r in range(1 << k, 2 << k):
+                text = np.array([*start, r], np.int64)
+                total += 2.0 ** m.mixed(text, np.array([0, len(text)]), m.weights, 0.05)[0][-1]
+        assert total == pytest.approx(1, abs=1e-4)
+    blank = 2.0 ** -int(lmscore.BYTE_SIZE[32])  # nothing was counted: every bit is even
+    spelled = sum(2.0 ** m.spelled(lmscore.Spelling(np.frombuffer(bytes([b, 32]), np.uint8)))[0] for b in range(256) if b != 32)
+    assert spelled == pytest.approx((1 - blank) * blank)
+    assert 0.5 < spelled < 1
+
+
+def test_mixing_against_a_scalar_reading():
+    m, rank, of = tiny_model()
+    e = lmscore.Events(rank, of, m.code, m.size)
+    x, gate = m.inputs(e)
+    want, at = [], 0
+    for a, b in zip(of[:-1], of[1:]):
+        w = m.weights.astype(float).copy()
+        for t in range(a, b):
+            change, ll = np.zeros_like(w), 0.0
+            for i in range(at, at + e.each[t]):
+                p = 1 / (1 + math.exp(-float(w[gate[i]] @ x[i].astype(float))))  # of the bit that came
+                ll += math.log2(p)
+                change[gate[i]] += 0.05 * (1 - p) * x[i]
+            w += change
+            at += e.each[t]
+            want.append(ll)
+    got, _ = m.mixed(rank, of, m.weights, 0.05)
+    assert got == pytest.approx(np.array(want), abs=1e-3)
+    alone = np.concatenate([m.mixed(rank[a:b], np.array([0, b - a]), m.weights, 0.05)[0] for a, b in zip(of[:-1], of[1:])])
+    assert got == pytest.approx(alone, abs=1e-6)
+
+
+def test_letters_that_end_in_a_mark_keep_the_librarys_ids():
+    path = tokenizer_path(WORD_TOKENIZER)
+    letters = [chr(c) for c in range(0xC0, 0x3100) if chr(c).isalpha()] + [chr(c) for c in range(0xFB00, 0xFB50) if chr(c).isalpha()]
+    texts = [f"{c}{m}" for c in letters for m in ".)"] + [f"a{c}." for c in letters]
+    want = wavelet._tokenizer(path).encode_batch(texts, add_special_tokens=False)
+    for t, g, w in zip(texts, wavelet.encode_texts([t.encode() for t in texts], path, 2), want):
+        assert np.frombuffer(g, "<u4").tolist() == w.ids + [2], t
+
+
 def test_line_features_with_empty_lines():
     f, size, of = quality.line_features(*packed(["", "a a a\n\nB!!", "\n"]))
     assert of.tolist() == [0, 1, 4, 6] and size.tolist() == [0, 5, 0, 3, 0, 0]
