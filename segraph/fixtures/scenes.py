@@ -99,10 +99,10 @@ def cte(stride: int = 1, every: int = 50, eps: float = 0.45, rogue: float = 0.0)
   (CASE WHEN l_linenumber%2=1 THEN 16+floor(l_quantity)::INT%9 ELSE 3+floor(l_quantity)::INT%4 END)::INT AS w,
   (CASE WHEN l_linenumber%2=1 THEN 3+floor(l_extendedprice)::BIGINT%4 ELSE 16+floor(l_extendedprice)::BIGINT%9 END)::INT AS h
   FROM lineitem JOIN part ON l_partkey=p_partkey WHERE l_orderkey%{every}=0),
-gt AS (SELECT scene_id,y,x,({SIDE}*y+x)::BIGINT AS pixel,inst_no,cls,depth FROM (
+gt AS MATERIALIZED (SELECT scene_id,y,x,({SIDE}*y+x)::BIGINT AS pixel,inst_no,cls,depth FROM (
   SELECT i.*,yy.y,xx.x,row_number() OVER (PARTITION BY scene_id,yy.y,xx.x ORDER BY inst_no) AS rn FROM inst i
   JOIN (SELECT range::INT AS y FROM range({SIDE})) yy ON yy.y>=i.y0 AND yy.y<i.y0+i.h
   JOIN (SELECT range::INT AS x FROM range({SIDE})) xx ON xx.x>=i.x0 AND xx.x<i.x0+i.w) WHERE rn=1),
-g AS (SELECT scene_id,(y//{stride})::INT AS y,(x//{stride})::INT AS x,({w}*(y//{stride})+x//{stride})::BIGINT AS pixel,inst_no,cls,depth FROM gt WHERE y%{stride}=0 AND x%{stride}=0),
-pairs AS (SELECT a.scene_id,a.pixel AS u,b.pixel AS v,a.inst_no AS iu,b.inst_no AS iv FROM g a JOIN g b ON a.scene_id=b.scene_id AND ((b.y=a.y AND b.x=a.x+1) OR (b.y=a.y+1 AND b.x=a.x))),
+g AS MATERIALIZED (SELECT scene_id,(y//{stride})::INT AS y,(x//{stride})::INT AS x,({w}*(y//{stride})+x//{stride})::BIGINT AS pixel,inst_no,cls,depth FROM gt WHERE y%{stride}=0 AND x%{stride}=0),
+pairs AS MATERIALIZED (SELECT a.scene_id,a.pixel AS u,b.pixel AS v,a.inst_no AS iu,b.inst_no AS iv FROM g a JOIN g b ON b.scene_id=a.scene_id AND b.y=a.y AND b.x=a.x+1 UNION ALL SELECT a.scene_id,a.pixel,b.pixel,a.inst_no,b.inst_no FROM g a JOIN g b ON b.scene_id=a.scene_id AND b.x=a.x AND b.y=a.y+1),
 edges AS (SELECT scene_id,u,v,iu,iv,{aff} AS aff FROM pairs)"""

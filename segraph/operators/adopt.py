@@ -10,26 +10,25 @@ from ..session import materialise
 from .streams import per_scene
 
 
-def adopt_sync_arrays(label: dict[int, int | None], edges, threshold: float) -> dict[int, int | None]:
-    """Rounds in which every node reads the labels of the round before."""
-    near: dict[int, list] = {x: [] for x in label}
-    for a, b, w in edges:
-        near[a].append((w, -b, b))
-        near[b].append((w, -a, a))
-    for x in near:
-        near[x].sort(reverse=True)
-    open_ = [x for x, v in label.items() if v is None]
-    while open_:
-        new = {}
-        for x in open_:
-            best = next(((w, b) for w, _, b in near[x] if label[b] is not None), None)
-            if best and best[0] >= threshold:
-                new[x] = label[best[1]]
-        if not new:
+def adopt_sync_arrays(label: np.ndarray, known: np.ndarray, u: np.ndarray, v: np.ndarray, w: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray]:
+    """Labels and known flags after all rounds, in each of which every node reads
+    the labels of the round before.  u and v are places in label."""
+    label, known = label.copy(), known.copy()
+    node, near, aff = np.concatenate([u, v]), np.concatenate([v, u]), np.concatenate([w, w])
+    order = np.lexsort((near, -aff, node))  # a node's best neighbour first
+    node, near, aff = node[order], near[order], aff[order]
+    live = ~known[node]
+    node, near, aff = node[live], near[live], aff[live]
+    while len(node):
+        seen = np.flatnonzero(known[near])
+        first = seen[np.concatenate([[True], node[seen][1:] != node[seen][:-1]])] if len(seen) else seen
+        first = first[aff[first] >= threshold]
+        if not len(first):
             break
-        label.update(new)
-        open_ = [x for x in open_ if x not in new]
-    return label
+        label[node[first]], known[node[first]] = label[near[first]], True
+        live = ~known[node]
+        node, near, aff = node[live], near[live], aff[live]
+    return label, known
 
 
 def adopt(labels: DataFrame, edges: DataFrame, threshold: float = 0.5, order: str = "sync", seed: int = 0, background: int | None = 0, engine: str = "kernel") -> DataFrame:
@@ -44,16 +43,21 @@ def adopt(labels: DataFrame, edges: DataFrame, threshold: float = 0.5, order: st
     """
     if engine == "rounds":
         return _rounds(labels, edges, threshold, background)
-    none = F.lit(None)
-    rows = labels.select("scene_id", F.col("node").alias("u"), F.col("node").alias("v"), none.cast("double").alias("aff"), "label").union(edges.select("scene_id", "u", "v", "aff", none.cast("bigint").alias("label")))
+    # a flag tells which labels are given: a null would turn the labels into doubles, which can't hold them all
+    given = (F.coalesce("label", F.lit(0)).cast("bigint").alias("label"), F.col("label").isNotNull().alias("known"))
+    rows = labels.select("scene_id", F.col("node").alias("u"), F.col("node").alias("v"), F.lit(0.0).alias("aff"), *given).union(edges.select("scene_id", "u", "v", "aff", F.lit(0).cast("bigint"), F.lit(False)))
 
     def kernel(scene, cols):
         loop = cols["u"] == cols["v"]
-        lab = {int(n): (None if x is None or np.isnan(x) else int(x)) for n, x in zip(cols["u"][loop], cols["label"][loop].astype(float))}
-        es = list(zip(cols["u"][~loop].tolist(), cols["v"][~loop].tolist(), cols["aff"][~loop].tolist()))
+        u, v, w = (cols[c][~loop] for c in ("u", "v", "aff"))
         if order == "sync":
-            adopt_sync_arrays(lab, es, threshold)
-        else:
+            at = np.argsort(cols["u"][loop])
+            node, lab, known = (cols[c][loop][at] for c in ("u", "label", "known"))
+            lab, known = adopt_sync_arrays(lab, known.astype(bool), np.searchsorted(node, u), np.searchsorted(node, v), w, threshold)
+            return {"node": node.tolist(), "label": [x if k else background for x, k in zip(lab.tolist(), known.tolist())]}
+        lab = {n: x if k else None for n, x, k in zip(*(cols[c][loop].tolist() for c in ("u", "label", "known")))}
+        es = zip(u.tolist(), v.tolist(), w.tolist())
+        if lab:
             near: dict[int, list] = {x: [] for x in lab}
             for a, b, w in es:
                 near[a].append((w, -b, b))

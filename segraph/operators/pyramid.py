@@ -2,8 +2,8 @@
 
 A raster of a level is (scene_id, y, x, cls-wise mean sem, mean emb); its edges
 are 4-neighbour affinities between foreground cells.  ``partition_pyramid`` runs the
-whole cascade of a scene inside one task after one shuffle ("fused") or as
-dataframe steps per level ("relational"); both give the same labels.
+whole cascade of a scene inside one task after one shuffle.  The level steps
+(``pool2``, ``pool_edges``, ``upsample2``, ``reclaim_rim``) are dataframe operators of their own.
 """
 
 from __future__ import annotations
@@ -12,6 +12,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .adopt import adopt_sync_arrays
 from .contract import Graph
 from .positional import positional_labels
 from .streams import per_scene
@@ -60,36 +61,44 @@ def rim_mask(lab: np.ndarray) -> np.ndarray:
     return m
 
 
-def _phi(a, b) -> float:
-    return float(np.exp(-np.log(2.0) * ((a - b) ** 2).sum()))
+PAIRS = 1 << 16  # pairs of segments compared at a time
 
 
-def _jss(p, q) -> float:
-    m = (p + q) / 2
-    t = lambda x: np.where(x > 0, x * np.log2(np.where(x > 0, x, 1) / np.where(m > 0, m, 1)), 0).sum()
-    return 1 - float(t(p) + t(q)) / 2
+def pair_affinity(sem: np.ndarray, emb: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Class similarity times embedding affinity of the rows' pairs (i, j)."""
+    out = np.empty(len(i))
+    own = np.where(sem > 0, sem * np.log2(np.where(sem > 0, sem, 1)), 0).sum(1)
+    for a in range(0, len(i), PAIRS):
+        p, q = i[a : a + PAIRS], j[a : a + PAIRS]
+        m = (sem[p] + sem[q]) / 2
+        mid = np.where(m > 0, m * np.log2(np.where(m > 0, m, 1)), 0).sum(1)
+        js = 1 - ((own[p] + own[q]) / 2 - mid)
+        out[a : a + PAIRS] = js * np.exp(-np.log(2.0) * ((emb[p] - emb[q]) ** 2).sum(1))
+    return out
 
 
 def group_segments(lab: np.ndarray, sem: np.ndarray, emb: np.ndarray, beta: float | None, t: float) -> np.ndarray:
     """Grouping of a label raster's segments (0 is background); beta None
-    groups without positions."""
-    ids = np.unique(lab[lab > 0])
-    if len(ids) < 2 or beta == "none":
+    groups without positions.  One pass over the raster gives boxes and means."""
+    ids, inv = np.unique(lab, return_inverse=True)
+    lead = int(ids[0] == 0)
+    if len(ids) - lead < 2 or beta == "none":
         return lab
-    box, ms, me = {}, {}, {}
-    for s in ids:
-        ys, xs = np.nonzero(lab == s)
-        box[int(s)] = (ys.min(), ys.max(), xs.min(), xs.max())
-        ms[int(s)], me[int(s)] = sem[ys, xs].mean(0), emb[ys, xs].mean(0)
-    u, v, w = [], [], []
-    for i, a in enumerate(ids):
-        for b in ids[i + 1 :]:
-            u.append(a)
-            v.append(b)
-            w.append(_jss(ms[a], ms[b]) * _phi(me[a], me[b]))
-    g = positional_labels(box, np.array(u), np.array(v), np.array(w), 0.0 if beta is None else beta, t)
-    to = g.labels()
-    return np.vectorize(lambda x: to.get(x, 0) if x else 0)(lab)
+    n, inv = len(ids), inv.reshape(lab.shape)
+    ys, xs = np.indices(lab.shape)
+    box = []
+    for at in (ys, xs):
+        low, high = np.full(n, at.max()), np.zeros(n, np.int64)
+        np.minimum.at(low, inv, at)
+        np.maximum.at(high, inv, at)
+        box += [low, high]
+    count = np.bincount(inv.ravel(), minlength=n)
+    mean = lambda a: np.stack([np.bincount(inv.ravel(), a[..., c].ravel(), n) for c in range(a.shape[-1])], 1) / count[:, None]
+    i, j = (k + lead for k in np.triu_indices(n - lead, 1))
+    w = pair_affinity(mean(sem), mean(emb), i, j)
+    boxes = {int(ids[k]): tuple(int(b[k]) for b in box) for k in range(lead, n)}
+    to = positional_labels(boxes, ids[i], ids[j], w, 0.0 if beta is None else beta, t).labels()
+    return np.array([to.get(int(x), 0) if x else 0 for x in ids])[inv]
 
 
 def contract_level(lab: np.ndarray, right: np.ndarray, down: np.ndarray, fg: np.ndarray, t: float) -> np.ndarray:
@@ -100,8 +109,8 @@ def contract_level(lab: np.ndarray, right: np.ndarray, down: np.ndarray, fg: np.
     cell = np.arange(1, h * w + 1).reshape(h, w)
     start = np.where(fg, np.where(lab > 0, lab + h * w, cell), 0)
     # a labelled segment is a node named by its smallest cell
-    for s in np.unique(start[start > h * w]):
-        start[start == s] = cell[start == s].min()
+    ids, first, inv = np.unique(start, return_index=True, return_inverse=True)
+    start = np.where(ids > h * w, first + 1, ids)[inv].reshape(h, w)
     us, vs, ws = [], [], []
     for a, b, wt in ((start[:, :-1], start[:, 1:], right[:, :-1]), (start[:-1], start[1:], down[:-1])):
         ok = (a > 0) & (b > 0) & (a != b) & ~np.isnan(wt)
@@ -112,27 +121,26 @@ def contract_level(lab: np.ndarray, right: np.ndarray, down: np.ndarray, fg: np.
     key = u * (h * w + 1) + v
     k, inv = np.unique(key, return_inverse=True)
     mean = np.bincount(inv, x) / np.maximum(np.bincount(inv), 1)
-    g = Graph(np.unique(start[start > 0]), k // (h * w + 1), k % (h * w + 1), mean)
+    ids, inv = np.unique(start, return_inverse=True)
+    g = Graph(ids[ids > 0], k // (h * w + 1), k % (h * w + 1), mean)
     to = g.run(t)
-    return np.vectorize(lambda c: to[c] if c else 0, otypes=[np.int64])(start)
+    return np.array([to[int(c)] if c else 0 for c in ids], np.int64)[inv].reshape(h, w)
 
 
 def adopt_level(lab: np.ndarray, right, down, fg, t: float) -> np.ndarray:
     """Synchronous adoption on a raster: unlabelled foreground cells (negative)."""
-    from .adopt import adopt_sync_arrays
-
     h, w = lab.shape
     cell = np.arange(h * w).reshape(h, w)
-    names = {int(c): (int(x) if x > 0 else None) for c, x, f in zip(cell.ravel(), lab.ravel(), fg.ravel()) if f}
-    es = []
+    inside = fg.ravel()
+    us, vs, ws = [], [], []
     for a, b, wt in ((cell[:, :-1], cell[:, 1:], right[:, :-1]), (cell[:-1], cell[1:], down[:-1])):
-        ok = fg.ravel()[a] & fg.ravel()[b] & ~np.isnan(wt)
-        es += zip(a[ok].tolist(), b[ok].tolist(), wt[ok].tolist())
-    done = adopt_sync_arrays(names, es, t)
-    out = np.zeros(h * w, np.int64)
-    for c, x in done.items():
-        out[c] = x or 0
-    return out.reshape(h, w)
+        ok = inside[a] & inside[b] & ~np.isnan(wt)
+        us.append(a[ok])
+        vs.append(b[ok])
+        ws.append(wt[ok])
+    start = np.where(inside & (lab.ravel() > 0), lab.ravel(), 0).astype(np.int64)
+    done, known = adopt_sync_arrays(start, start > 0, *(np.concatenate(x) for x in (us, vs, ws)), t)
+    return np.where(known & inside, done, 0).reshape(h, w)
 
 
 def _pool(a: np.ndarray) -> np.ndarray:

@@ -4,7 +4,7 @@ A round contracts edges that outrank every edge around them, so the result is
 that of the sequential kernel: for "max" and "mean_edges" an edge must be the
 best of both ends; for "avg" it must outrank all edges of its ends'
 neighbours too, so that two merges of a round are never adjacent.  "sum" has
-no such proof and is approximate.  State is written to the shared folder after each round.
+no such proof and is approximate.  A contraction that max_rounds don't end is an error.  State is written to the shared folder after each round.
 """
 
 from __future__ import annotations
@@ -36,4 +36,6 @@ def contract_rounds(edges: DataFrame, nodes: DataFrame, threshold: float = 0.5,
         new = {"avg": F.avg("s"), "mean_edges": F.sum(F.col("s") * F.col("c")) / F.sum("c"), "sum": F.sum("s"), "max": F.max("s"), "min": F.min("s")}[rule]
         state = moved.agg(new.alias("s"), F.sum("c").alias("c"))
         labels = materialise(to(labels.withColumnRenamed("label", "v"), "v").withColumnRenamed("v", "label"), "rounds")
+    else:
+        raise RuntimeError(f"the contraction did not end within {max_rounds} rounds")
     return labels.select("scene_id", "node", "label")

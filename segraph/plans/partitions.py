@@ -116,7 +116,7 @@ PAIRS_SQL = "prs AS (SELECT scene_id,u::BIGINT AS u,v::BIGINT AS v,aff FROM (" +
 
 def pgc_sql(beta):
     pre = seg_sql(8)[5:] + ", " + GEO + ", " + SEGS + ", " + PAIRS_SQL
-    return PO.positional_recursive_sql("segs", "prs", beta, 0.3, pre)
+    return PO.positional_recursive_sql("segs", "prs", beta, 0.5, pre)
 
 
 def segs_and_pairs(spark, sf, k=8):
@@ -127,12 +127,12 @@ def segs_and_pairs(spark, sf, k=8):
 
 @query("pgc_scenes", pgc_sql(0.5))
 def pgc_scenes(spark, sf):
-    return PO.contract_positional(*segs_and_pairs(spark, sf), beta=0.5, threshold=0.3)
+    return PO.contract_positional(*segs_and_pairs(spark, sf), beta=0.5, threshold=0.5)
 
 
 @query("gc_grouping", pgc_sql(0.0))
 def gc_grouping(spark, sf):
-    return PO.contract_positional(*segs_and_pairs(spark, sf), beta=0.0, threshold=0.3)
+    return PO.contract_positional(*segs_and_pairs(spark, sf), beta=0.0, threshold=0.5)
 
 
 @query("pgc_rounds")
@@ -143,8 +143,8 @@ def pgc_rounds(spark, sf):
     b = segs.select("scene_id", F.col("label").alias("n"), "y0", "y1", "x0", "x1")
     j = pairs.join(b.toDF("scene_id", "u", "y0u", "y1u", "x0u", "x1u"), ["scene_id", "u"]).join(b.toDF("scene_id", "v", "y0v", "y1v", "x0v", "x1v"), ["scene_id", "v"])
     damped = j.select("scene_id", "u", "v", (F.col("aff") * A.damping(A.box(suffix="u"), A.box(suffix="v"))).alias("aff"))
-    approx = R.contract_rounds(damped, segs.select("scene_id", F.col("label").alias("node")), 0.3, "avg")
-    exact = PO.contract_positional(segs, pairs, 0.5, 0.3)
+    approx = R.contract_rounds(damped, segs.select("scene_id", F.col("label").alias("node")), 0.5, "avg")
+    exact = PO.contract_positional(segs, pairs, 0.5, 0.5)
     return approx.join(exact.select("scene_id", F.col("segment").alias("node"), F.col("label").alias("exact")), ["scene_id", "node"]).agg(F.count("*").alias("segments"), F.avg((F.col("label") == F.col("exact")).cast("double")).alias("agreement"))
 
 

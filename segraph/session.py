@@ -30,7 +30,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    return (spark.conf.get("spark.checkpoint.dir", "") or "file:///tmp/checkpoints").rstrip("/")
+    """The cluster's shared folder; a local one only where none is set and the master is local, as in tests."""
+    at = spark.conf.get("spark.checkpoint.dir", "")
+    if not at and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+    return (at or "file:///tmp/checkpoints").rstrip("/")
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:

@@ -44,8 +44,28 @@ def test_merge_order_matters_under_avg():
 
 def test_threshold_is_strict_for_contraction_and_not_for_adoption():
     assert groups(run(hand(3))[0]) == [[1], [2]]
-    assert adopt_sync_arrays({1: 7, 2: None}, [(1, 2, 0.5)], 0.5) == {1: 7, 2: 7}
-    assert adopt_sync_arrays({1: 7, 2: None}, [(1, 2, 0.49)], 0.5) == {1: 7, 2: None}
+    big = 2**60 + 1
+    one = lambda w: [x.tolist() for x in adopt_sync_arrays(np.array([big, 0]), np.array([True, False]), np.array([0]), np.array([1]), np.array([w]), 0.5)]
+    assert one(0.5) == [[big, big], [True, True]] and one(0.49) == [[big, 0], [True, False]]
+    rng = np.random.default_rng(6)
+    for _ in range(20):
+        n, m = 40, 90
+        u, v = rng.integers(0, n, m), rng.integers(0, n, m)
+        u, v = u[u != v], v[u != v]
+        w, known = rng.integers(0, 8, len(u)) / 8, rng.random(n) < 0.2
+        label, flag = dict(enumerate(np.where(known, np.arange(n) + 100, 0).tolist())), dict(enumerate(known.tolist()))
+        while True:  # the same rounds, node by node
+            new = {}
+            for x in (x for x in flag if not flag[x]):
+                near = [(a, -q, q) for p, q, a in [*zip(u, v, w), *zip(v, u, w)] if p == x and flag[int(q)]]
+                if near and max(near)[0] >= 0.5:
+                    new[x] = label[int(max(near)[2])]
+            if not new:
+                break
+            label |= new
+            flag |= dict.fromkeys(new, True)
+        got, seen = adopt_sync_arrays(np.where(known, np.arange(n) + 100, 0), known, u, v, w, 0.5)
+        assert got.tolist() == list(label.values()) and seen.tolist() == list(flag.values())
 
 
 def test_literal_deletion_leaves_pairs():
@@ -167,3 +187,24 @@ def test_large_groups_of_documents_stay_in_the_partition(spark, tmp_path):
     spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
     got = partitions.docs_partition(spark, str(tmp_path)).collect()
     assert sorted((r["node"], r["label"]) for r in got) == [(i, 0) for i in range(140)]
+
+
+def test_adoption_keeps_labels_beyond_doubles(spark):
+    from segraph.operators.adopt import adopt
+
+    big = 2**60 + 1
+    labels = spark.createDataFrame([(1, 1, big), (1, 2, None), (1, 3, None)], "scene_id bigint, node bigint, label bigint")
+    edges = spark.createDataFrame([(1, 1, 2, 0.9), (1, 2, 3, 0.4)], "scene_id bigint, u bigint, v bigint, aff double")
+    for order in ("sync", "seeded"):
+        assert sorted((r["node"], r["label"]) for r in adopt(labels, edges, order=order).collect()) == [(1, big), (2, big), (3, 0)]
+    assert sorted((r["node"], r["label"]) for r in adopt(labels, edges, engine="rounds").collect()) == [(1, big), (2, big), (3, 0)]
+
+
+def test_rounds_that_do_not_end_are_an_error(spark):
+    from segraph.operators.rounds import contract_rounds
+
+    nodes = spark.createDataFrame([(1, 1), (1, 2)], "scene_id bigint, node bigint")
+    edges = spark.createDataFrame([(1, 1, 2, 0.9)], "scene_id bigint, u bigint, v bigint, aff double")
+    with pytest.raises(RuntimeError):
+        contract_rounds(edges, nodes, max_rounds=1)
+    assert {r["label"] for r in contract_rounds(edges, nodes).collect()} == {1}
