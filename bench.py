@@ -6,6 +6,7 @@ BENCH_SF_DIR (default /root/testdata/sf0.1) and BENCH_CPUS (default 4).
 from __future__ import annotations
 
 import json
+import math
 import os
 import sys
 import time
@@ -29,6 +30,33 @@ def timed(df) -> float:
     return round(time.time() - t, 2)
 
 
+def planted_rasters(spark, side: int, scenes: int = 8, emb: int = 8):
+    """Pixels and edges of rasters of any side, planted by rule: tiles of 13 by 11 cells are the
+    instances, one in five is background."""
+    at = spark.range(scenes * side * side).select(F.floor(F.col("id") / side**2).alias("scene_id"), (F.col("id") % side**2).alias("pixel"))
+    at = at.withColumns({"y": F.floor(F.col("pixel") / side), "x": F.col("pixel") % side})
+    unit = lambda *c: F.pmod(F.xxhash64(*c), F.lit(1 << 20)) / (1 << 20)
+    inst = lambda y, x: F.xxhash64("scene_id", F.floor(y / 13), F.floor(x / 11))
+    cls = lambda i: F.when(F.pmod(i, F.lit(5)) == 0, 0).otherwise(1 + F.pmod(i, F.lit(8)))
+    at = at.withColumn("inst", inst(F.col("y"), F.col("x")))
+    noise = 0.4 * unit("scene_id", "pixel")
+    sem = F.array(*[F.when(cls(F.col("inst")) == k, 1 - noise).otherwise(noise / 8) for k in range(9)])
+    vec = F.array(*[2 * unit("inst", F.lit(k)) + 0.1 * unit("scene_id", "pixel", F.lit(k)) for k in range(emb)])
+    px = at.select("scene_id", "pixel", sem.alias("sem"), vec.alias("emb"))
+    e = at.select("*", F.explode(F.array(F.struct(F.lit(0).alias("dy"), F.lit(1).alias("dx")), F.struct(F.lit(1).alias("dy"), F.lit(0).alias("dx")))).alias("o")).where((F.col("y") + F.col("o.dy") < side) & (F.col("x") + F.col("o.dx") < side))
+    e = e.withColumn("near", inst(F.col("y") + F.col("o.dy"), F.col("x") + F.col("o.dx"))).where((cls(F.col("inst")) > 0) & (cls(F.col("near")) > 0))
+    h = 0.45 * unit("scene_id", "pixel", "o.dy")
+    e = e.select("scene_id", F.col("pixel").alias("u"), (F.col("pixel") + side * F.col("o.dy") + F.col("o.dx")).alias("v"), F.when(F.col("inst") == F.col("near"), 1 - h).otherwise(h).alias("aff"))
+    return px, e
+
+
+def slope(seconds: dict[int, float]) -> float:
+    """Log-log slope of time against pixels, by least squares over the sizes."""
+    x, y = [math.log(n) for n in seconds], [math.log(max(t, 1e-3)) for t in seconds.values()]
+    mx, my = sum(x) / len(x), sum(y) / len(y)
+    return round(sum((a - mx) * (b - my) for a, b in zip(x, y)) / sum((a - mx) ** 2 for a in x), 2)
+
+
 def main() -> None:
     sf, cpus = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1"), os.environ.get("BENCH_CPUS", "4")
     spark = local_session(cpus, "6g", 2 * int(cpus))
@@ -49,7 +77,7 @@ def main() -> None:
     ):
         out[f"part_{name}"] = timed(df)
         rates[name] = {"s_per_scene": round(out[f"part_{name}"] / scenes, 5), "cells_per_s": round(cells / out[f"part_{name}"])}
-    sizes = {}
+    sizes, cascades = {}, {"contract": {}, "adopt": {}}
     if os.environ.get("BENCH_SIZES", "1") == "1":
         from segraph.sources.planted import PlantedScenes
 
@@ -57,7 +85,11 @@ def main() -> None:
         for side in (32, 64, 128, 256):
             d = materialise(spark.read.format("planted_scenes").option("scenes", 8).option("side", side).load(), "bench")
             sizes[side * side] = timed(contract(d))
-    print(json.dumps({"metric": "headline queries, total", "value": round(sum(out.values()), 2), "unit": "sec", "queries": out, "sf": os.path.basename(sf.rstrip("/")), "cpus": int(cpus), "partition": rates, "seconds_by_pixels": sizes}))
+        for side in (64, 128, 256, 512):
+            px, e = (materialise(d, "bench") for d in planted_rasters(spark, side))
+            for finest, got in cascades.items():
+                got[side * side] = timed(partition_pyramid(px, e, side, 8, finest=finest))
+    print(json.dumps({"metric": "headline queries, total", "value": round(sum(out.values()), 2), "unit": "sec", "queries": out, "sf": os.path.basename(sf.rstrip("/")), "cpus": int(cpus), "partition": rates, "seconds_by_pixels": sizes, "cascade_seconds_by_pixels": cascades, "cascade_slope": {k: slope(v) for k, v in cascades.items() if v}}))
     spark.stop()
 
 

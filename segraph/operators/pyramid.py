@@ -203,7 +203,7 @@ def partition_pyramid(px: DataFrame, edges: DataFrame, side: int, emb: int, leve
         sem = np.zeros((side, side, 9))
         em = np.zeros((side, side, emb))
         at = cols["pixel"][cell].astype(int)
-        vec = np.array(list(cols["vec"][cell]), float)
+        vec = cols["vec"].reshape(-1, 9 + emb)  # edges have none
         sem.reshape(-1, 9)[at] = vec[:, :9]
         em.reshape(-1, emb)[at] = vec[:, 9:]
         right, down = np.full((side, side), np.nan), np.full((side, side), np.nan)
@@ -216,4 +216,4 @@ def partition_pyramid(px: DataFrame, edges: DataFrame, side: int, emb: int, leve
         keep = np.flatnonzero(lab > 0)
         return {"pixel": keep, "label": lab[keep]}
 
-    return per_scene(p.union(e), kernel, "scene_id bigint, pixel bigint, label bigint", order=("pixel", "v"))
+    return per_scene(p.union(e), kernel, "scene_id bigint, pixel bigint, label bigint", order=("pixel", "v"), flat=("vec",))

@@ -39,9 +39,9 @@ def scenes_of(batches, key: str):
         yield now, pa.Table.from_batches(held)
 
 
-def per_scene(df: DataFrame, kernel: Callable[[int, dict[str, np.ndarray]], dict], ddl: str, key: str = "scene_id", order: tuple[str, ...] = ()) -> DataFrame:
+def per_scene(df: DataFrame, kernel: Callable[[int, dict[str, np.ndarray]], dict], ddl: str, key: str = "scene_id", order: tuple[str, ...] = (), flat: tuple[str, ...] = ()) -> DataFrame:
     """kernel(scene, columns) -> columns of ddl, for every scene.  Array columns
-    arrive as object arrays."""
+    arrive as object arrays, those named in flat as all their values in row order."""
     prepare(df.sparkSession)
     schema = arrow_schema(ddl)
     lists = {f.name for f in df.schema.fields if isinstance(f.dataType, T.ArrayType)}
@@ -51,7 +51,10 @@ def per_scene(df: DataFrame, kernel: Callable[[int, dict[str, np.ndarray]], dict
             cols = {}
             for n in t.schema.names:
                 c = t.column(n).combine_chunks()
-                cols[n] = np.fromiter(c.to_pylist(), object, len(c)) if n in lists else c.to_numpy(zero_copy_only=False)
+                if n in flat:
+                    cols[n] = c.flatten().to_numpy(zero_copy_only=False)
+                else:
+                    cols[n] = np.fromiter(c.to_pylist(), object, len(c)) if n in lists else c.to_numpy(zero_copy_only=False)
             out = kernel(int(scene), cols)
             n = len(next(v for k, v in out.items() if k != key)) if out else 0
             if n:
