@@ -40,7 +40,7 @@ U = np.uint64
 SAMPLES = 2
 MOST_OPTIONS = 2_000_000  # of the lattices kept by a worker, 28 bytes each
 MOST_CHARS = 40_000  # of new words at a time, unless one word is longer
-SLICE = 512 << 10  # text bytes drawn together, unless one text is longer
+SLICE = 256 << 10  # text bytes drawn together, unless one text is longer
 GRAIN = 2.0**28  # log-probabilities are multiples of 1/GRAIN, so that sums are exact and rows don't depend on their neighbours
 REACH = 38.0  # a Gumbel variable made from 53 random bits never exceeds its location by more
 FIRST = 24  # choices looked at before asking whether later ones can matter
