@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import arrow_schema, free_names, prepare
+from .shared import arrow_schema, free_names, prepare, tidy
 
 WINDOW = 10
 BLOCK_WINDOWS = 200_000
@@ -143,7 +143,7 @@ def _pass(docs: DataFrame, block, first: bool, own: list[str]) -> DataFrame:
             keep = [i for i, n in enumerate(names) if n not in own]
             yield pa.RecordBatch.from_arrays([batch.column(i) for i in keep] + [pa.array(cols[f.name], f.type) for f in HITS_FIELDS], names=[names[i] for i in keep] + own)
 
-    return docs.mapInArrow(work, schema)
+    return docs.mapInArrow(tidy(work), schema)
 
 
 def original_spans(text: str, hit_from: list[int], hit_to: list[int]) -> list[tuple[int, int]]:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import arrow_schema, block_of, partitions, prepare, range_bounds
+from .shared import arrow_schema, block_of, partitions, prepare, range_bounds, tidy
 from .textvec import mix, powers
 
 U = np.uint64
@@ -199,4 +199,4 @@ def digest(docs: DataFrame) -> DataFrame:
         if wait and not ended:
             yield emit(wait, first)
 
-    return with_next(docs).select("doc_id", "text", "halo").mapInArrow(work, OUT_DDL)
+    return with_next(docs).select("doc_id", "text", "halo").mapInArrow(tidy(work), OUT_DDL)

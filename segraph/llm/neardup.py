@@ -40,7 +40,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .shared import Scratch, arrow_schema, prepare
+from .shared import Scratch, arrow_schema, prepare, tidy
 from .textvec import Words, column_bytes, slices
 
 K, BANDS, BITS = 128, 32, 8
@@ -93,7 +93,7 @@ def signatures(docs: DataFrame, size: int) -> DataFrame:
                 flat = pa.ListArray.from_arrays(pa.array(np.arange(len(m) + 1, dtype=np.int32) * BANDS), pa.array(bands.view(np.int64).ravel()))
                 yield pa.RecordBatch.from_arrays([part.column(names.index("doc_id")), pa.array(distinct_sizes(sh, of)), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), flat, pa.array([r.tobytes() for r in low], pa.binary())], schema=schema)
 
-    return docs.mapInArrow(work, PASS_DDL)
+    return docs.mapInArrow(tidy(work), PASS_DDL)
 
 
 def similarity(a: bytes, b: bytes) -> float:
@@ -118,7 +118,7 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, size: int, num: int, den: int
             yield pa.RecordBatch.from_arrays([keep.column(0), keep.column(1)], names=["a", "b"])
 
     sigs = texts.select("rep", "sig")
-    est = scratch.write(pairs).join(sigs.toDF("a", "sa"), "a").join(sigs.toDF("b", "sb"), "b").select("a", "b", "sa", "sb").mapInArrow(near, "a bigint, b bigint")
+    est = scratch.write(pairs).join(sigs.toDF("a", "sa"), "a").join(sigs.toDF("b", "sb"), "b").select("a", "b", "sa", "sb").mapInArrow(tidy(near), "a bigint, b bigint")
     body = texts.select("rep", "text")
     both = est.join(body.toDF("a", "ta"), "a").join(body.toDF("b", "tb"), "b").select("a", "b", "ta", "tb")
 
@@ -138,7 +138,7 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, size: int, num: int, den: int
                 done += part.num_rows
             yield pa.RecordBatch.from_pydict({"a": [a[i] for i in keep], "b": [b[i] for i in keep]}, schema=arrow_schema("a bigint, b bigint"))
 
-    return scratch.write(both.mapInArrow(exact, "a bigint, b bigint"))
+    return scratch.write(both.mapInArrow(tidy(exact), "a bigint, b bigint"))
 
 
 def components(links: DataFrame, scratch: Scratch) -> DataFrame:
@@ -219,7 +219,7 @@ def _texts(src: DataFrame, reps: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([part.column(1), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64))], names=["text", "k1", "k2"])
 
     mine = src.join(reps.select(F.col("head").alias("doc_id")).distinct(), "doc_id", "left_semi").select("doc_id", "text")
-    keyed = mine.mapInArrow(work, "text string, k1 bigint, k2 bigint")
+    keyed = mine.mapInArrow(tidy(work), "text string, k1 bigint, k2 bigint")
     return keyed.join(reps.select("rep", "sig", "n", "k1", "k2"), ["k1", "k2"]).dropDuplicates(["k1", "k2"]).select("rep", "text", "sig", "n")
 
 
@@ -246,7 +246,7 @@ def _prefixes(texts: DataFrame, size: int, num: int, den: int, scratch: Scratch)
                 rep = np.repeat(part.column(0).to_numpy(), [len(e) for e in each])
                 yield pa.RecordBatch.from_arrays([pa.array(rep), pa.array(np.concatenate(each).view(np.int64))], schema=schema)
 
-    every = scratch.write(texts.select("rep", "text").mapInArrow(work, "rep bigint, h bigint"))
+    every = scratch.write(texts.select("rep", "text").mapInArrow(tidy(work), "rep bigint, h bigint"))
     often = every.groupBy("h").agg(F.count("*").alias("c")).where("c > 1")
     shared = every.join(often, "h").join(texts.select("rep", "n"), "rep")
     by_rep = Window.partitionBy("rep")

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .fit import labelled_sample, logistic, sigmoid
-from .shared import arrow_schema, free_names, held, prepare
+from .shared import arrow_schema, free_names, held, prepare, tidy
 from .textvec import Words, column_bytes, segment_sum, slices
 
 MOST = 3000
@@ -246,7 +246,7 @@ def fit(docs: DataFrame, labels: DataFrame, train=None, most: int = MOST) -> Qua
                 rows = [{"y": y, "lines": int(b - a), "x": x[a:b].tobytes(), "size": size[a:b].tobytes()} for y, a, b in zip(d["y"], of[:-1], of[1:])]
                 yield pa.RecordBatch.from_pylist(rows, schema=schema)
 
-    got = sample.select("doc_id", "y", "text").mapInArrow(work, ddl).toArrow().to_pylist()  # bounded by most
+    got = sample.select("doc_id", "y", "text").mapInArrow(tidy(work), ddl).toArrow().to_pylist()  # bounded by most
     got.sort(key=lambda r: (r["y"], r["x"]))
     ys = {r["y"] for r in got}
     if len(ys) < 2:
@@ -291,7 +291,7 @@ def score(docs: DataFrame, model: QualityModel) -> DataFrame:
                 q = model.documents(*column_bytes(part.column(part.schema.get_field_index("text"))))
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(q), pa.array(model.score(q))], names=[*part.schema.names, *own])
 
-    return docs.mapInArrow(work, T.StructType([*docs.schema.fields, *[T.StructField(n, T.DoubleType()) for n in own]]))
+    return docs.mapInArrow(tidy(work), T.StructType([*docs.schema.fields, *[T.StructField(n, T.DoubleType()) for n in own]]))
 
 
 def digest(docs: DataFrame, labels: DataFrame) -> DataFrame:

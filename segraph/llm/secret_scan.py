@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .shared import free_names, prepare
+from .shared import free_names, prepare, tidy
 
 KINDS = ("assign", "access", "hex", "novel")
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -108,7 +108,7 @@ def find(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
             cols = [pa.array([[{"start": s, "end": e, "kind": k} for s, e, k in g[i]] for g in got], arrow) for i in (0, 1)]
             yield pa.RecordBatch.from_arrays([*batch.columns, *cols], names=[*batch.schema.names, *own])
 
-    return docs.mapInArrow(work, T.StructType([*docs.schema.fields, *[T.StructField(n, kind) for n in own]]))
+    return docs.mapInArrow(tidy(work), T.StructType([*docs.schema.fields, *[T.StructField(n, kind) for n in own]]))
 
 
 def redact(text: str | None, spans, word: str = "[SECRET]") -> str | None:
@@ -144,7 +144,7 @@ def mask(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:
             cols[at] = pa.array(texts, pa.string())
             yield pa.RecordBatch.from_arrays([*cols, pa.array(n, pa.int32())], names=[*batch.schema.names, count])
 
-    return docs.mapInArrow(work, T.StructType([*docs.schema.fields, T.StructField(count, T.IntegerType())]))
+    return docs.mapInArrow(tidy(work), T.StructType([*docs.schema.fields, T.StructField(count, T.IntegerType())]))
 
 
 def digest(docs: DataFrame, novelty: float = NOVELTY) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import uuid
 
@@ -13,8 +14,15 @@ from pyspark.sql import functions as F
 ROOT = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
 
 
+#: Rows handed to a Python worker at a time: some MB of ordinary texts.
+BATCH_ROWS, BATCH_CONF = 1024, "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
 def prepare(spark: SparkSession) -> None:
-    """Lets Python workers import this package wherever the driver started."""
+    """Lets Python workers import this package wherever the driver started, and
+    bounds the rows of an Arrow batch, as texts are wide."""
+    if not 0 < int(spark.conf.get(BATCH_CONF, "10000")) <= BATCH_ROWS:
+        spark.conf.set(BATCH_CONF, str(BATCH_ROWS))
     env = spark.sparkContext.environment
     if ROOT not in env.get("PYTHONPATH", "").split(":"):
         env["PYTHONPATH"] = ":".join(x for x in (ROOT, env.get("PYTHONPATH", "")) if x)
@@ -66,6 +74,23 @@ def free_names(columns, *names: str) -> list[str]:
     return out
 
 
+def tidy(work):
+    """work, which at its end hands memory that it freed back to the system: a
+    worker goes on to other tasks, and an executor holds several."""
+
+    def run(it):
+        try:
+            yield from work(it)
+        finally:
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except AttributeError:  # another C library
+                pass
+
+    return run
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

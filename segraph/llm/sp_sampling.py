@@ -33,12 +33,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import pieces as P
-from .shared import arrow_schema, prepare
+from .shared import arrow_schema, prepare, tidy
 from .textvec import mix, powers, slices
 
 U = np.uint64
 SAMPLES = 2
-MOST_OPTIONS = 2_000_000  # of the lattices kept by a worker, 28 bytes each
+MOST_OPTIONS = 1_500_000  # of the lattices kept by a worker, 28 bytes each
 MOST_CHARS = 40_000  # of new words at a time, unless one word is longer
 SLICE = 256 << 10  # text bytes drawn together, unless one text is longer
 GRAIN = 2.0**28  # log-probabilities are multiples of 1/GRAIN, so that sums are exact and rows don't depend on their neighbours
@@ -463,4 +463,4 @@ def encode(docs: DataFrame, vocab_path: str, k: int = SAMPLES, seed: int = 0, ke
                     columns.append(pa.ListArray.from_arrays(pa.array(of.astype(np.int32)), pa.array(ids.astype(np.int32))))
                 yield pa.RecordBatch.from_arrays(columns, schema=schema)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(work, ddl)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(work), ddl)

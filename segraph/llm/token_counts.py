@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import pieces as P
-from .shared import arrow_schema, prepare
+from .shared import arrow_schema, prepare, tidy
 
 KEPT = 600_000
 OUT_DDL = "doc_id bigint, n_words bigint, n_tokens bigint, forward_logp double"
@@ -98,4 +98,4 @@ def digest(docs: DataFrame, vocab_path: str, whole: bool = False) -> DataFrame:
                 got = count_texts([t or "" for t in texts.slice(a, 1024).to_pylist()], vocab_path, whole)
                 yield pa.RecordBatch.from_arrays([ids.slice(a, 1024), *[pa.array(c, f.type) for c, f in zip(zip(*got), list(schema)[1:])]], schema=schema)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(work, OUT_DDL)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(work), OUT_DDL)

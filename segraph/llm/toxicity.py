@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from .decontam import fold_words
 from .fit import labelled_sample, logistic, sigmoid
-from .shared import arrow_schema, held, materialise, prepare
+from .shared import arrow_schema, held, materialise, prepare, tidy
 
 ORDER = 6
 DISCOUNTS = (0.0, 1.0, 1.25, 1.5)  # of counts 0, 1, 2, and 3 or more: a single sighting tells no class
@@ -147,7 +147,7 @@ def _count_grams(sample: DataFrame) -> dict[tuple[int, int], dict[bytes, int]]:
         for (y, fold), c in out.items():
             yield pa.RecordBatch.from_pydict({"y": [y] * len(c), "fold": [fold] * len(c), "gram": list(c), "n": list(c.values())}, schema=schema)
 
-    got = sample.mapInArrow(work, ddl).groupBy("y", "fold", "gram").agg(F.sum("n").alias("n")).toArrow()
+    got = sample.mapInArrow(tidy(work), ddl).groupBy("y", "fold", "gram").agg(F.sum("n").alias("n")).toArrow()
     out: dict = defaultdict(dict)
     for b in got.to_batches():
         for y, fold, g, n in zip(*(c.to_pylist() for c in b.columns)):
@@ -213,7 +213,7 @@ def features_of(docs: DataFrame, model: TwoClassKneserNey, keep: str) -> DataFra
             cols = list(zip(*f)) or [[]] * len(FEATURES)
             yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index(n)) for n in names] + [pa.array(c, pa.float64()) for c in cols], schema=schema)
 
-    return docs.select(*names, "text").mapInArrow(work, ddl)
+    return docs.select(*names, "text").mapInArrow(tidy(work), ddl)
 
 
 def score(docs: DataFrame, model: ToxicityModel) -> DataFrame:
