@@ -56,3 +56,18 @@ def test_average_precision_is_not_quadratic(spark):
     value = plan.collect()[0]["value"]
     assert 0.6 < value <= 2 / 3 + 1e-9 and time.time() - t < 60
     assert "specifiedwindowframe(RowFrame, currentrow$(), unboundedfollowing$())" not in plan._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.mark.parametrize("name", ["greedy_gap", "multicut_exact_tiny", "w_rogue_edge", "loss_total", "lr_schedule", "source_planted", "udtf_grid"])
+def test_reads_a_table(name, spark, sf):
+    assert QUERIES[name](spark, sf).inputFiles()
+
+
+def test_rogue_edge_of_the_hand_graph(spark):
+    """Graph 5: one contact edge above the blocks' own joins them under max, not under min."""
+    from segraph.fixtures.graphs import hand_graphs
+    from segraph.operators.contract import contract
+
+    e = hand_graphs(spark).where("scene_id = 5")
+    assert contract(e, rule="max").select("label").distinct().count() == 1
+    assert contract(e, rule="min").select("label").distinct().count() == 2
