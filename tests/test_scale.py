@@ -71,3 +71,19 @@ def test_rogue_edge_of_the_hand_graph(spark):
     e = hand_graphs(spark).where("scene_id = 5")
     assert contract(e, rule="max").select("label").distinct().count() == 1
     assert contract(e, rule="min").select("label").distinct().count() == 2
+
+
+def test_partitions_equal_sql_without_caps(spark, sf, tmp_path):
+    """Ids beyond 500, and a text in more than 60 copies."""
+    import duckdb
+
+    from segraph.plans.registry import ORACLE_SQL
+
+    con = duckdb.connect()
+    con.sql(f"copy (select * replace (vec_id + 450 as vec_id) from '{sf}/embeddings.parquet' order by vec_id limit 120) to '{tmp_path}/embeddings.parquet'")
+    con.sql(f"copy (select doc_id, text from '{sf}/documents.parquet' where doc_id < 60 union all select 1000 + range, 'one text of seven words in copies' from range(70)) to '{tmp_path}/documents.parquet'")
+    for name, t in (("emb_partition", "embeddings"), ("docs_partition", "documents")):
+        con.sql(f"create view {t} as select * from '{tmp_path}/{t}.parquet'")
+        want = sorted(con.sql(ORACLE_SQL[name]).fetchall())
+        assert sorted(tuple(r) for r in QUERIES[name](spark, str(tmp_path)).collect()) == want
+        assert len(want) > (60 if t == "documents" else 0)
