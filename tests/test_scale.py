@@ -40,6 +40,13 @@ def test_large_tables_are_not_broadcast(spark, sf):
     assert "Broadcast" not in j._jdf.queryExecution().executedPlan().toString()
 
 
+def test_parts_are_not_broadcast(spark, sf):
+    """Two columns of a million parts look like a few MB in files, and are 134 MB in the driver's memory."""
+    from segraph.fixtures import scenes
+
+    assert "Broadcast" not in scenes.instances(spark, sf)._jdf.queryExecution().executedPlan().toString()
+
+
 def test_average_precision_is_not_quadratic(spark):
     """A frame that runs to the last row from each of n rows visits n * n / 2."""
     import time
