@@ -47,6 +47,21 @@ def test_parts_are_not_broadcast(spark, sf):
     assert "Broadcast" not in scenes.instances(spark, sf)._jdf.queryExecution().executedPlan().toString()
 
 
+def test_sizes_in_one_pass_equal_one_by_one(spark, sf):
+    from pyspark.sql import functions as F
+
+    from segraph.operators.metrics import average_precision
+
+    p, t = measures.pred_truth(spark, sf)
+    n = t.groupBy("scene_id", "label").agg(F.count("*").alias("n"))
+    got = average_precision(p, t, bins={b: F.col("n").between(lo, hi - 1) for b, lo, hi in measures.SIZES}).collect()
+    for b, lo, hi in measures.SIZES:
+        sized = t.join(n, ["scene_id", "label"]).withColumn("depth", F.when(F.col("n").between(lo, hi - 1), 0.0).otherwise(1.0)).drop("n")
+        want = {(r["cls"], r["tau"]): round(r["value"], 9) for r in average_precision(p, sized, depth_max=0.5).collect()}
+        assert {(r["cls"], r["tau"]): round(r["value"], 9) for r in got if r["bin"] == b} == want
+    assert len(got) > 10
+
+
 def test_average_precision_is_not_quadratic(spark):
     """A frame that runs to the last row from each of n rows visits n * n / 2."""
     import time
