@@ -23,3 +23,14 @@ def test_plain_letters_skip_to_the_model():
 
     c.tok = Refuses()
     assert all(c._encode(w.encode()) for w in ("the", "größe", "слово"))
+
+
+def test_hash_lookup_is_the_binary_search():
+    import public_tokenizers
+
+    from segraph.llm import pieces, sp_sampling as S
+
+    hs = S._Hashes(pieces.load(public_tokenizers.path("piece_bpe_32k.model")))
+    near = [hs.hash, hs.hash + np.uint64(1), hs.hash - np.uint64(1), np.array([0, 2**64 - 1], np.uint64), np.random.default_rng(5).integers(0, 2**64, 100_000, dtype=np.uint64)]
+    h = np.concatenate(near)
+    assert (hs.find(h) == np.minimum(np.searchsorted(hs.hash, h), len(hs.hash) - 1)).all()
