@@ -109,3 +109,54 @@ def test_partitions_equal_sql_without_caps(spark, sf, tmp_path):
         want = sorted(con.sql(ORACLE_SQL[name]).fetchall())
         assert sorted(tuple(r) for r in QUERIES[name](spark, str(tmp_path)).collect()) == want
         assert len(want) > (60 if t == "documents" else 0)
+
+
+def pixel_wise(spark, sf, k=16, **kw):
+    """Average precision of a cascade by the operators on rows a pixel."""
+    from pyspark.sql import functions as F
+
+    from segraph.operators.metrics import average_precision
+
+    a = average_precision(measures.cascade_pred(spark, sf, k, **kw), measures.truth(spark, sf))
+    return tuple(a.agg(F.avg("value"), F.avg(F.when(F.col("tau") == 0.5, F.col("value")))).first())
+
+
+def test_one_pass_over_scenes_equals_the_pixel_wise_cascade(spark, sf):
+    """Scores of all settings in one pass, in which no row a pixel is shuffled."""
+    got = [tuple(r)[1:] for r in measures.cascade_ap(spark, sf, [{"finest": "adopt"}, {"k": 8}]).orderBy("m").collect()]
+    assert got[0] == pytest.approx(pixel_wise(spark, sf, finest="adopt"), abs=1e-9) and got[0][1] > 0
+    assert got[1] == pytest.approx(pixel_wise(spark, sf, 8), abs=1e-9)
+
+
+def test_rasters_are_the_pixels_and_edges(spark, sf):
+    from pyspark.sql import functions as F
+
+    r = graphs.rasters(spark, sf, 8, 0.7)
+    plan = r._jdf.queryExecution().executedPlan().toString().split("Generate explode")
+    assert "Exchange hashpartitioning" not in plan[0]  # once boxes are drawn, nothing is shuffled
+    cols = ["scene_id", "pixel", "inst_no", "cls", "depth", "sem", "emb"]
+    a, b = r.select(cols), graphs.pixels(spark, sf, 8).select(cols)
+    assert a.exceptAll(b).count() == b.exceptAll(a).count() == 0 < b.count()
+    e = r.select("scene_id", F.col("pixel").alias("u"), F.explode(F.create_map(F.lit(1), "right", F.lit(32), "down")).alias("d", "aff")).where("aff is not null")
+    e = e.select("scene_id", "u", (F.col("u") + F.col("d")).alias("v"), "aff")
+    want = graphs.edges_of(graphs.full(spark, sf), 0.7).select("scene_id", "u", "v", "aff")
+    assert e.exceptAll(want).count() == want.exceptAll(e).count() == 0 < want.count()
+
+
+def test_regrouped_are_instances_in_several_pieces():
+    """An instance in one piece doesn't count; of those in two, one is found as one segment, one in two."""
+    import numpy as np
+
+    nan = np.nan
+    inst = np.array([[1, 1, 2, 2], [3, nan, 3, nan], [4, 5, 4, 5]], float)
+    lab = np.array([[1, 1, 2, 2], [7, 0, 7, 0], [8, 9, 3, 9]])
+    edge = np.full(inst.shape, 0.5)
+    got = measures.regrouped_rows(lab, inst, edge, edge)
+    assert got["inst"].tolist() == [1, 2, 3, 4, 5] and got["pieces"].tolist() == [1, 1, 2, 2, 2]
+    assert got["whole"].tolist()[2:] == [True, False, True] and got["main"].tolist()[2:] == [1.0, 0.5, 1.0]
+
+
+def test_regrouped_counts_what_the_truth_has_in_pieces(spark, sf):
+    pieces = {r["pieces"]: r["instances"] for r in QUERIES["w_disjoint_recall"](spark, sf).collect()}
+    got = QUERIES["w_regrouped"](spark, sf).first()
+    assert got["instances"] == sum(n for k, n in pieces.items() if k > 1) > 0
